@@ -14,6 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -53,6 +54,12 @@ def by_chunk(docs: DataFrame, lay: Layout, id_col: str = "doc_id", text_col: str
 # ---------------------------------------------------------------- texts as byte arrays
 
 
+def ordered(table: pa.Table) -> pa.Table:
+    """A chunk's documents by id, then text: shuffles deliver rows in any order, and steps that exchange
+    answers by position need the same one."""
+    return table.take(pc.sort_indices(table, sort_keys=[("id", "ascending"), ("text", "ascending")]))
+
+
 def text_buffers(column) -> tuple[np.ndarray, np.ndarray]:
     """A string column as (bytes, offsets), without a copy where Arrow allows it."""
     arr = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column

@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 from deltafold.llm.debruijn_spans import op2_substring_dedup
+from deltafold.llm.radix_suffixes import op4_suffix_dedup
 
 QUERIES = {
     "op2_substring_dedup": op2_substring_dedup,
+    "op4_suffix_dedup": op4_suffix_dedup,
 }
 
 ORACLE_SQL: dict[str, str] = {}
