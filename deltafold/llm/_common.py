@@ -262,3 +262,23 @@ def covered(n: int, starts: np.ndarray, length: int) -> np.ndarray:
     np.add.at(step, starts, 1)
     np.add.at(step, starts + length, -1)
     return np.cumsum(step[:-1]) > 0
+
+
+class Memo(dict):
+    """compute(key) remembered for short keys.  Two generations bound the memory: when the young one is full,
+    it becomes the old one."""
+
+    def __init__(self, compute, limit: int = 200_000, longest: int = 64):
+        super().__init__()
+        self.compute, self.limit, self.longest, self.old = compute, limit, longest, {}
+
+    def __missing__(self, key):
+        got = self.old.get(key)
+        if got is None:
+            got = self.compute(key)
+        if len(key) <= self.longest:
+            if len(self) >= self.limit:
+                self.old = dict(self)
+                self.clear()
+            self[key] = got
+        return got
