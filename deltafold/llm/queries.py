@@ -5,6 +5,7 @@ from __future__ import annotations
 from deltafold.llm.bestfit_packing import op3_bestfit_packing
 from deltafold.llm.content_sort import OP6_SQL, op6_exact_dedup
 from deltafold.llm.debruijn_spans import op2_substring_dedup
+from deltafold.llm.jaccard_join import op5_jaccard_join
 from deltafold.llm.prefix_bpe import op10_bpe_codec
 from deltafold.llm.radix_suffixes import op4_suffix_dedup
 
@@ -12,6 +13,7 @@ QUERIES = {
     "op2_substring_dedup": op2_substring_dedup,
     "op3_bestfit_packing": op3_bestfit_packing,
     "op4_suffix_dedup": op4_suffix_dedup,
+    "op5_jaccard_join": op5_jaccard_join,
     "op6_exact_dedup": op6_exact_dedup,
     "op10_bpe_codec": op10_bpe_codec,
 }
