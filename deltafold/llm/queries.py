@@ -8,6 +8,7 @@ from deltafold.llm.debruijn_spans import op2_substring_dedup
 from deltafold.llm.jaccard_join import op5_jaccard_join
 from deltafold.llm.prefix_bpe import op10_bpe_codec
 from deltafold.llm.radix_suffixes import op4_suffix_dedup
+from deltafold.llm.secret_crf import op8_secret_scan
 
 QUERIES = {
     "op2_substring_dedup": op2_substring_dedup,
@@ -15,6 +16,7 @@ QUERIES = {
     "op4_suffix_dedup": op4_suffix_dedup,
     "op5_jaccard_join": op5_jaccard_join,
     "op6_exact_dedup": op6_exact_dedup,
+    "op8_secret_scan": op8_secret_scan,
     "op10_bpe_codec": op10_bpe_codec,
 }
 
