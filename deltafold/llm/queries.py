@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from deltafold.llm.anisotropic_ann import op9_nearest_neighbours
 from deltafold.llm.bestfit_packing import op3_bestfit_packing
 from deltafold.llm.content_sort import OP6_SQL, op6_exact_dedup
 from deltafold.llm.debruijn_spans import op2_substring_dedup
@@ -17,6 +18,7 @@ QUERIES = {
     "op5_jaccard_join": op5_jaccard_join,
     "op6_exact_dedup": op6_exact_dedup,
     "op8_secret_scan": op8_secret_scan,
+    "op9_nearest_neighbours": op9_nearest_neighbours,
     "op10_bpe_codec": op10_bpe_codec,
 }
 
