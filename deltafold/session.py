@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,3 +26,10 @@ def cut(df: DataFrame) -> DataFrame:
     executors and do not repeat the work."""
     checkpoint_folder(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark delete shuffle files that nothing refers to any more (it does so when the driver collects
+    garbage, which may be long after)."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
