@@ -1,4 +1,6 @@
 """The reference's workloads and operator queries on the given tables."""
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from deltafold.workloads import incremental
+
+QUERIES: dict = {**incremental.QUERIES}
+ORACLE_SQL: dict = {**incremental.ORACLE_SQL}
