@@ -1,6 +1,6 @@
 """The reference's workloads and operator queries on the given tables."""
 
-from deltafold.workloads import incremental
+from deltafold.workloads import incremental, operators
 
-QUERIES: dict = {**incremental.QUERIES}
-ORACLE_SQL: dict = {**incremental.ORACLE_SQL}
+QUERIES: dict = {**incremental.QUERIES, **operators.QUERIES}
+ORACLE_SQL: dict = {**incremental.ORACLE_SQL, **operators.ORACLE_SQL}
