@@ -28,7 +28,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from deltafold.llm._common import Memo
 from deltafold.session import cut
 
 CAPACITY = 2048
@@ -38,30 +37,84 @@ CARRY = 20_000
 #: A bin leaves when its free room is at most this part of a sequence.
 NEARLY_FULL = 1 / 128
 _ODD = re.compile("[\x1c-\x1f]")
+_BETWEEN = "\x01"
+_MARKS = ".,;:!?*#$%&|"
+_TOGETHER = 400  # texts that are split at once
 _PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long, ids binary"
 _PIECE_ARROW = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("ids", pa.binary())])
 
 
 class WordIds:
     """Ids as little-endian 32-bit bytes.  The vocabulary's pattern never crosses white space, so a text's ids
-    are those of its white-space-free strings in turn; each of these goes to the tokenizers library once."""
+    are those of its white-space-free strings in turn.  Strings not seen of late go to the tokenizers library
+    together, with a separator between them that none of them holds.  Two generations bound the memory."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, limit: int = 300_000):
         from tokenizers import Tokenizer
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
-        self.words = Memo(self.whole)
+        self.limit, self.young, self.old = limit, {}, {}
+        self.mark = np.array(self.tokenizer.encode(_BETWEEN, add_special_tokens=False).ids, "<u4")
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def text(self, text: str) -> bytes:
-        if "<|" in text or _ODD.search(text):
-            return self.whole(text)  # special tokens, and separators that only Python takes for white space
-        return b"".join(map(self.words.__getitem__, text.split()))
+    def _together(self, words: list[str]) -> dict[str, bytes]:
+        if len(self.mark) != 1:
+            return {w: self.whole(w) for w in words}
+        apart = [w for w in words if _BETWEEN in w]
+        words = [w for w in words if _BETWEEN not in w]
+        lots = [words[i : i + 256] for i in range(0, len(words), 256)]
+        out = {w: self.whole(w) for w in apart}
+        for lot, got in zip(lots, self.tokenizer.encode_batch_fast([f" {_BETWEEN} ".join(x) for x in lots], add_special_tokens=False), strict=True):
+            ids = np.array(got.ids, "<u4")
+            cuts = np.flatnonzero(ids == self.mark[0])
+            begins, ends = [0, *(cuts + 1).tolist()], [*cuts.tolist(), len(ids)]
+            out.update((w, ids[i:j].tobytes()) for w, i, j in zip(lot, begins, ends, strict=True))
+        return out
+
+    @staticmethod
+    def _stem(word: str) -> tuple[str, str]:
+        """Letters, and marks that follow them: a pretoken each.  Letters of ASCII only are lower-cased, as the
+        vocabulary's normaliser does."""
+        stem = word.rstrip(_MARKS)
+        if not stem.isalpha():
+            return word, ""
+        return stem.lower() if stem.isascii() else stem, word[len(stem) :]
+
+    def texts(self, texts: list[str]) -> list[bytes]:
+        if len(self.young) > self.limit:
+            self.young, self.old = {}, self.young
+        get, held, missing = self.young.get, [], {}
+        for text in texts:
+            if "<|" in text or _ODD.search(text):
+                held.append((None, self.whole(text)))  # special tokens, and separators that only Python takes for white space
+                continue
+            words = text.split()
+            got = list(map(get, words))
+            if not all(got):  # some are not known (truth is cheaper to test than identity)
+                missing.update((w, None) for w, v in zip(words, got, strict=True) if v is None)
+            held.append((words, got))
+        known, split, new = {}, [], {}
+        for w in missing:
+            if (v := self.old.get(w)) is not None:
+                known[w] = v
+            else:
+                split.append((w, *self._stem(w)))
+                new.update((x, None) for x in split[-1][1:] if x and x not in self.young and x not in self.old)
+        new = self._together(list(new))
+        look = lambda x: self.young.get(x) or self.old.get(x) or new[x]
+        known.update((w, look(stem) + look(tail) if tail else look(stem)) for w, stem, tail in split)
+        self.young.update((w, v) for lot in (new, known) for w, v in lot.items() if len(w) <= 64)
+        out = []
+        for words, got in held:
+            if words is not None:
+                got = b"".join(got if all(got) else [known[w] if v is None else v for w, v in zip(words, got, strict=True)])
+            out.append(got)
+        return out
 
 
 @lru_cache(maxsize=2)
@@ -73,11 +126,13 @@ def _pieces(path: str, capacity: int, with_ids: bool):
     end = np.array([SEPARATOR], "<u4").tobytes()
 
     def run(batches):
-        encode = word_ids(path).text
+        encode = word_ids(path).texts
         for batch in batches:
             cols: list[list] = [[] for _ in _PIECE_ARROW.names]
-            for key, text in zip(batch["id"].to_pylist(), batch["text"].to_pylist(), strict=True):
-                ids = encode(text) + end
+            keys, texts = batch["id"].to_pylist(), batch["text"].to_pylist()
+            coded = (ids for i in range(0, len(texts), _TOGETHER) for ids in encode(texts[i : i + _TOGETHER]))
+            for key, ids in zip(keys, coded, strict=True):
+                ids += end
                 for n, at in enumerate(range(0, len(ids), 4 * capacity)):
                     part = ids[at : at + 4 * capacity]
                     for to, x in zip(cols, (key, n, at // 4, len(part) // 4, zlib.crc32(part), part if with_ids else None), strict=True):
