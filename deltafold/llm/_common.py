@@ -166,10 +166,11 @@ def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
 # ---------------------------------------------------------------- packed fingerprints
 
 
-def place(h: np.ndarray, buckets: int) -> np.ndarray:
-    """bucket << VALUE_BITS | low bits: sorted, it lists the buckets one after the other."""
+def place(h: np.ndarray, buckets: int, bits: int = VALUE_BITS) -> np.ndarray:
+    """bucket << VALUE_BITS | low bits: sorted, it lists the buckets one after the other.  Fewer ``bits`` pack
+    shorter, where taking two tokens for one does no harm."""
     bucket = ((h >> U64(VALUE_BITS)) * U64(buckets)) >> U64(64 - VALUE_BITS)
-    return (bucket << U64(VALUE_BITS)) | (h & U64((1 << VALUE_BITS) - 1))
+    return (bucket << U64(VALUE_BITS)) | (h & U64((1 << bits) - 1))
 
 
 def pack(values: np.ndarray) -> tuple[int, bytes]:

@@ -4,8 +4,10 @@
    class of document count (exact where it is 1).  Shingles are ordered by class, rarest first, then by hash.
 2. *who can link*: a document of n shingles needs ceil(t n) common ones, so one with more unique shingles
    than that leaves has no partner.  Documents with equal sets become one node.
-3. *leaders*: nodes that share a min-hash are compared with the smallest of them only.  This joins large
-   groups of near copies by as many comparisons as they have members.
+3. *leaders*: nodes that share a min-hash are compared with one of them only, the most central (of the most
+   common shingles on average).  Then, for ``LEADER_ROUNDS`` rounds, so are nodes that share a prefix token
+   (see 4) but no label yet: first with the most central one, then with the most central of one label.  This joins large groups of near
+   copies by about as many comparisons as they have members.
 4. *prefixes*: two nodes that link share a token among the first n - ceil(t n) + 1 of each.  Tokens whose
    nodes all have one label already are dropped.  Where a token leaves few pairs between labels, it is an
    index key; where it leaves many, prefixes are extended by one and combinations of the token with each later
@@ -25,18 +27,22 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from deltafold.llm import _common as C
 from deltafold.llm._graph import components
-from deltafold.session import cut
+from deltafold.session import cut, release
 
 U64 = np.uint64
 WORDS, PERCENT = 5, 75
 #: A token that leaves more pairs between labels than this many for each of its nodes is of a frequent class.
 PAIRS_PER_NODE = 16
 LEADER_KEYS = 4
+LEADER_ROUNDS = 3
+#: Bits of a fingerprint, besides its bucket's, by which documents are counted.  Two shingles that agree in
+#: them get one class, which changes the order of tokens in the same way everywhere, and no result.
+COUNT_BITS = 32
 #: Pairs of one leader that are compared in one place; more are salted.
 SALT_AT = 256
 
@@ -67,14 +73,14 @@ def _sets(table: pa.Table, k: int):
 def _send(lay: C.Layout, k: int):
     def run(table: pa.Table) -> pa.Table:
         got = list(_sets(table, k))
-        u, n = np.unique(C.place(np.concatenate(got), lay.buckets), return_counts=True)
+        u, n = np.unique(C.place(np.concatenate(got), lay.buckets, COUNT_BITS), return_counts=True)
         return C.packed_rows(table["chunk"][0].as_py(), u, C.count_bytes(n))
 
     return run
 
 
-_NODE = "id long, n long, node binary, tokens array<long>"
-_NODE_ARROW = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("node", pa.binary()), ("tokens", pa.list_(pa.int64()))])
+_NODE = "id long, n long, node long, central int, tokens array<long>"
+_NODE_ARROW = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("central", pa.int32()), ("tokens", pa.list_(pa.int64()))])
 
 
 def _needed(n: int, percent: int) -> int:
@@ -86,19 +92,21 @@ def _nodes(lay: C.Layout, k: int, percent: int):
         if texts.num_rows == 0:
             return _NODE_ARROW.empty_table()
         sets = list(_sets(texts, k))
-        _, back = np.unique(C.place(np.concatenate(sets), lay.buckets), return_inverse=True)
+        _, back = np.unique(C.place(np.concatenate(sets), lay.buckets, COUNT_BITS), return_inverse=True)
         level = C.replies(answers)[back]
-        cols: list[list] = [texts["id"].to_pylist(), [len(s) for s in sets], [], []]
-        at = 0
+        cols: list[list] = [texts["id"].to_pylist(), [len(s) for s in sets], [], [], []]
+        at, sent = 0, set()
         for key, s in zip(cols[0], sets, strict=True):
             mine = level[at : at + len(s)]
             at += len(s)
             if len(s) and key is not None and np.count_nonzero(mine) >= _needed(len(s), percent):
-                cols[2].append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
-                cols[3].append(s[np.argsort(mine, kind="stable")].view(np.int64))
+                cols[2].append(int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True))
+                cols[3].append(int(1000 * mine.mean()))
+                cols[4].append(None if cols[2][-1] in sent else s[np.argsort(mine, kind="stable")].view(np.int64))
+                sent.add(cols[2][-1])  # copies within a chunk send their set once
             else:
-                cols[2].append(None)
-                cols[3].append(None)
+                for c in cols[2:]:
+                    c.append(None)
         return pa.table(dict(zip(_NODE_ARROW.names, cols, strict=True)), schema=_NODE_ARROW)
 
     return run
@@ -106,6 +114,7 @@ def _nodes(lay: C.Layout, k: int, percent: int):
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets are similar enough.  Pairs of a leader with many are salted."""
+    pairs = cut(pairs)
     many = pairs.groupBy("a").agg(F.ceil(F.count("*") / SALT_AT).cast("int").alias("salts"))
     salted = pairs.join(many, "a").withColumn("salt", F.pmod(F.xxhash64("b"), F.col("salts")).cast("int")).drop("salts")
     left = sets.select(F.col("node").alias("a"), F.col("tokens").alias("ta"), F.col("n").alias("na")).join(many, "a")
@@ -144,31 +153,50 @@ def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_
     sent = texts.groupBy("chunk").applyInArrow(_send(lay, k), C.PACKED)
     counts = C.exchange(sent, lay).groupBy("bucket").applyInArrow(C.tally, C.ANSWER)
     rows = cut(texts.groupBy("chunk").cogroup(C.exchange(counts, lay, "chunk").groupBy("chunk")).applyInArrow(_nodes(lay, k, percent), _NODE))
+    del sent, counts, texts
+    release(docs.sparkSession)
 
     members = rows.where("node is not null").select("id", "node")
-    first = members.groupBy("node").agg(F.min("id").alias("id"))
     need = F.ceil(F.col("n") * percent / 100).cast("int")
-    sets = rows.join(first, ["node", "id"], "left_semi").dropDuplicates(["node"])
-    sets = cut(sets.select("node", "n", "tokens", (F.col("n") - need + 1).cast("int").alias("prefix")))
+    # Kept by node: every comparison below moves pairs to the sets, not sets to the pairs.
+    sets = rows.where("tokens is not null").select("node", "n", "central", "tokens", (F.col("n") - need + 1).cast("int").alias("prefix"))
+    sets = sets.repartition(lay.partitions, "node").dropDuplicates(["node"]).persist()
+    together = F.count("*").over(Window.partitionBy("key"))
+    prefixes = sets.select("node", "central", "n", F.explode(F.slice("tokens", F.lit(1), F.col("prefix"))).alias("key"))
+    prefixes = cut(prefixes.withColumn("c", together).where("c > 1").drop("c"))  # a token of one node indexes nothing
+
+    def labelled(links: DataFrame) -> DataFrame:
+        found = prefixes.join(components(links), "node", "left").withColumn("label", F.coalesce("label", "node"))
+        one = Window.partitionBy("key")
+        return cut(found.withColumn("mixed", F.min("label").over(one) < F.max("label").over(one)).where("mixed").drop("mixed"))
 
     # leaders
     keys = F.array(*(F.array_min(F.transform("tokens", lambda x, s=s: F.xxhash64(x, F.lit(s)))) for s in range(LEADER_KEYS)))
-    looks = sets.select("node", F.explode(keys).alias("key"))
-    leaders = looks.groupBy("key").agg(F.min("node").alias("a"), F.count("*").alias("c")).where("c > 1").select("key", "a")
+    looks = sets.select("node", "central", F.explode(keys).alias("key"))
+    leaders = looks.groupBy("key").agg(F.max(F.struct("central", "node"))["node"].alias("a"), F.count("*").alias("c")).where("c > 1").select("key", "a")
     pairs = looks.join(leaders, "key").where("a <> node").select("a", F.col("node").alias("b")).distinct()
     links = cut(_verified(pairs, sets, percent))
-    labels = components(links)
+    entries = labelled(links)
+    for turn in range(LEADER_ROUNDS):
+        by = F.col("central").cast("long") if turn == 0 else F.xxhash64("label", F.lit(turn))
+        best = entries.groupBy("key").agg(F.max(F.struct(by.alias("by"), "central", "node", "label")).alias("top"))
+        leader = best.select("key", F.col("top.node").alias("a"), F.col("top.label").alias("la"))
+        found = cut(_verified(entries.join(leader, "key").where("la <> label").select("a", F.col("node").alias("b")).distinct(), sets, percent))
+        if found.isEmpty():
+            break
+        links = cut(links.unionByName(found))
+        entries = labelled(links)
+    release(docs.sparkSession)
 
     # prefixes
-    labelled = cut(sets.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")).select("node", "label", "n", "prefix", "tokens"))
-    entries = labelled.select("node", "label", "n", F.explode(F.slice("tokens", F.lit(1), F.col("prefix"))).alias("key"))
     each, mixed = _label_counts(entries)
     mixed = cut(mixed)
     rare = mixed.where(F.col("cross") <= PAIRS_PER_NODE * F.col("m")).select("key")
     frequent = mixed.where(F.col("cross") > PAIRS_PER_NODE * F.col("m")).select("key")
     open_pairs = _cross_pairs(entries.join(rare, "key", "left_semi"), each.join(rare, "key", "left_semi"), percent)
     if not frequent.isEmpty():
-        at = labelled.select("node", "label", "n", "prefix", "tokens", F.posexplode(F.slice("tokens", F.lit(1), F.col("prefix"))).alias("pos", "key")).join(frequent, "key", "left_semi")
+        labels = entries.select("node", "label").distinct()
+        at = sets.join(labels, "node").select("node", "label", "n", "prefix", "tokens", F.posexplode(F.slice("tokens", F.lit(1), F.col("prefix"))).alias("pos", "key")).join(frequent, "key", "left_semi")
         later = F.slice("tokens", F.col("pos") + 2, F.col("prefix") - F.col("pos"))  # up to the prefix and one more
         combined = at.select("node", "label", "n", F.col("key").alias("w"), F.explode(later).alias("w2")).select("node", "label", "n", F.xxhash64("w", "w2").alias("key"))
         each2, mixed2 = _label_counts(combined)
@@ -176,6 +204,7 @@ def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_
         open_pairs = open_pairs.unionByName(_cross_pairs(combined.join(mixed2, "key", "left_semi"), each2.join(mixed2, "key", "left_semi"), percent)).distinct()
     more = _verified(open_pairs, sets, percent)
     labels = components(links.unionByName(more))
+    sets.unpersist()
 
     classes = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     smallest = classes.groupBy("label").agg(F.min("id").alias("smallest"))
