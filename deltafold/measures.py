@@ -56,9 +56,15 @@ def persisted(spark: SparkSession) -> int:
 
 
 def exchanges(df: DataFrame) -> int:
-    """Shuffles in a plan, reused ones not counted."""
-    text = df._jdf.queryExecution().executedPlan().toString()
-    return sum(1 for line in text.splitlines() if "Exchange " in line and "Reused" not in line and "Broadcast" not in line)
+    """Shuffles that a plan does, without those that made what it finds in memory, and reused ones."""
+    n, hidden = 0, None
+    for line in df._jdf.queryExecution().executedPlan().toString().splitlines():
+        depth = len(line) - len(line.lstrip(" :+-*()0123456789"))
+        if hidden is not None and depth > hidden:
+            continue
+        hidden = depth if "InMemoryRelation" in line else None
+        n += "Exchange " in line and "Reused" not in line and "Broadcast" not in line
+    return n
 
 
 def purity(rows: DataFrame, cluster: str, label: str) -> float:
