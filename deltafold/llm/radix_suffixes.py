@@ -166,6 +166,8 @@ def radix_groups(strings: np.ndarray) -> np.ndarray:
 
     Most significant digits first, eight bytes to a digit; see the module's third step."""
     n, k = strings.shape
+    if n == 0:
+        return np.zeros(0, np.int64)
     wide = np.zeros((n, -(-k // 8) * 8), np.uint8)
     wide[:, :k] = strings
     digits = wide.view(">u8").astype(U64)
