@@ -49,7 +49,7 @@ class WordIds:
     are those of its white-space-free strings in turn.  Strings not seen of late go to the tokenizers library
     together, with a separator between them that none of them holds.  Two generations bound the memory."""
 
-    def __init__(self, path: str, limit: int = 300_000):
+    def __init__(self, path: str, limit: int = 600_000):
         from tokenizers import Tokenizer
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
