@@ -255,6 +255,32 @@ def aggregate_catalogue(spark, sf_dir):
     return _run(spark, q, {"orders": arrive_by_key(table(spark, sf_dir, "orders"), "o_orderkey")})
 
 
+def _from_sql(spark, sf_dir, sql, streams, width=20):
+    from deltafold.plans.sqlfront import from_sql
+
+    tables = {n: table(spark, sf_dir, n) for n in ("orders", "lineitem", "customer", "part")}
+    q = from_sql(spark, sql, list(streams), {n: t.columns for n, t in tables.items()})
+    return _run(spark, q, {n: arrive_by_key(tables[n], key, width) for n, key in streams.items()}, {n: t for n, t in tables.items() if n not in streams})
+
+
+SQL_AVG = "SELECT l_partkey, avg(CAST(l_quantity AS BIGINT)) AS avg_qty, count(*) AS n FROM lineitem WHERE l_quantity > 5 GROUP BY l_partkey"
+SQL_JOIN = "SELECT o.o_custkey, sum(CAST(l.l_quantity AS BIGINT)) AS qty, count(*) AS n FROM orders o JOIN lineitem l ON o.o_orderkey = l.l_orderkey GROUP BY o.o_custkey"
+SQL_NESTED = "SELECT c_mktsegment, count(*) AS customers, sum(n) AS order_count FROM (SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey) x JOIN customer c ON x.o_custkey = c.c_custkey GROUP BY c_mktsegment"
+
+
+def sql_groupby_avg(spark, sf_dir):
+    """The same text runs as a batch in DuckDB and incrementally here."""
+    return _from_sql(spark, sf_dir, SQL_AVG, {"lineitem": "l_orderkey"})
+
+
+def sql_join_groupby(spark, sf_dir):
+    return _from_sql(spark, sf_dir, SQL_JOIN, {"orders": "o_orderkey", "lineitem": "l_partkey"})
+
+
+def sql_derived_table(spark, sf_dir):
+    return _from_sql(spark, sf_dir, SQL_NESTED, {"orders": "o_orderkey"})
+
+
 _AVG_SQL = "SELECT l_partkey, CAST(SUM(CAST(l_quantity AS BIGINT)) AS DOUBLE) / COUNT(*) AS avg_qty, COUNT(*) AS n FROM lineitem {} GROUP BY l_partkey"
 _CENTS_SQL = "CAST(ROUND(l_extendedprice * 100) AS BIGINT)"
 _JOIN_SQL = f"SELECT o_custkey, CAST(SUM({_CENTS_SQL}) AS DOUBLE) / COUNT(*) AS avg_cents, COUNT(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey {{}} GROUP BY o_custkey"
@@ -264,10 +290,13 @@ QUERIES = {f.__name__: f for f in (
     incr_groupby_avg_part, incr_groupby_avg_user, incr_groupby_sum_count_min_max, incr_join_groupby_coarrival, incr_join_groupby_late, incr_join_groupby_delta, incr_join_static_dim, incr_join_mn,
     incr_join_lineage_state, incr_join_minimal_lineage, incr_global_reduce, incr_append_filter, incr_count_distinct, incr_nested_correlated, incr_nested_correlated_relational, incr_two_level_group,
     incr_avg_of_sums, incr_order_by_topk, incr_three_way_join, incr_outer_join, delete_groupby_avg, delete_join_groupby, delete_partial_lines, delete_min_max, delete_count_distinct, delete_all_is_empty,
-    signed_stream_sum_zero, window_only_batches, retain_all_baseline, batches_of_memory_size, sorted_bucket_backend, full_outer_merge, aggregate_catalogue,
+    signed_stream_sum_zero, window_only_batches, retain_all_baseline, batches_of_memory_size, sorted_bucket_backend, full_outer_merge, aggregate_catalogue, sql_groupby_avg, sql_join_groupby, sql_derived_table,
 )}
 
 ORACLE_SQL = {
+    "sql_groupby_avg": SQL_AVG,
+    "sql_join_groupby": SQL_JOIN.replace("sum(CAST(l.l_quantity AS BIGINT))", "CAST(sum(CAST(l.l_quantity AS BIGINT)) AS BIGINT)"),
+    "sql_derived_table": SQL_NESTED.replace("sum(n)", "CAST(sum(n) AS BIGINT)"),
     "incr_groupby_avg_part": _AVG_SQL.format(""),
     "incr_groupby_avg_user": "SELECT user_id, CAST(SUM(CAST(ROUND(value * 100) AS BIGINT)) AS DOUBLE) / COUNT(*) AS avg_value, COUNT(*) AS n FROM events GROUP BY user_id",
     "incr_groupby_sum_count_min_max": f"SELECT l_suppkey, CAST(SUM(CAST(l_quantity AS BIGINT)) AS BIGINT) AS s, COUNT(*) AS n, MIN({_CENTS_SQL}) AS lo, MAX({_CENTS_SQL}) AS hi FROM lineitem GROUP BY l_suppkey",
