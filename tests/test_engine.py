@@ -189,3 +189,15 @@ def test_cube_of_streams_matches_oracle_free_recompute(spark):
         for i in range(2):
             run.step({"t": t.where(F.coalesce(F.col("k"), F.lit(0)) % 2 == i)})
         assert diff_count(run.answer(), recompute(q, {"t": t})) == 0
+
+
+def test_sql_front_end_refuses_and_converts(spark):
+    from deltafold.plans.sqlfront import from_sql
+
+    q = from_sql(spark, "SELECT a, sum(d) / count(*) AS x FROM l JOIN r ON l.b = r.c WHERE d > 1 GROUP BY a ORDER BY x DESC LIMIT 2", ["l", "r"], SCHEMAS)
+    tables = {"l": left(spark, [("p", 1), ("q", 2), ("q", 1)]), "r": right(spark, [(1, 10), (2, 1), (2, 5)])}
+    run = IncrementalQuery(spark, q, SCHEMAS)
+    run.step(tables)
+    assert rows(run.answer()) == rows(recompute(q, tables)) == [("p", 10.0), ("q", 7.5)]
+    with pytest.raises(Unsupported):
+        from_sql(spark, "SELECT a FROM l JOIN r ON l.b < r.c", ["l", "r"], SCHEMAS)
