@@ -3,13 +3,13 @@
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from deltafold.functions.monoids import SIGN
-from deltafold.plans.algebra import Join, Term, Unsupported, evaluate, sources, walk
+from deltafold.plans.algebra import Join, Term, Unsupported, evaluate, walk
 from deltafold.plans.compiler import compile_query, signed_rows
 from deltafold.streaming.state import BACKENDS, StateCell
 
@@ -33,7 +33,7 @@ class IncrementalQuery:
         self.plan = compile_query(query, schemas, lineage, deletes, split_policy)
         self.cells = [StateCell(c.number, BACKENDS[backend](spark, c.group, **options)) for c in self.plan.cells]
         self.deletes, self.check_subset, self.batches = deletes, check_subset, 0
-        self.guards = [(j, set()) for j in walk(query) if isinstance(j, Join) and j.mode == "co_arrival"] if guard else []
+        self.guards = [j for j in walk(query) if isinstance(j, Join) and j.mode == "co_arrival"] if guard else []
         self.seen: list[DataFrame | None] = [None] * len(self.guards)
         self.metrics: list[BatchMetrics] = []
 
@@ -62,7 +62,7 @@ class IncrementalQuery:
 
     def _guard(self, tables: dict[str, DataFrame]) -> None:
         """Co-arrival holds only while no key of a batch was seen before; otherwise matches would be lost."""
-        for i, (join, _) in enumerate(self.guards):
+        for i, join in enumerate(self.guards):
             keys = [signed_rows(side, tables).select(*(F.col(c).alias(f"k{n}") for n, c in enumerate(cols))) for side, cols in ((join.left, [a for a, _ in join.on]), (join.right, [b for _, b in join.on]))]
             new = keys[0].union(keys[1]).distinct()
             if not keys[0].groupBy(*keys[0].columns).count().where("count > 1").isEmpty():
@@ -113,6 +113,3 @@ def run_in_batches(spark: SparkSession, query: Term, batches, schemas: dict[str,
     for b in batches:
         q.step(b)
     return q
-
-
-__all__ = ["BatchMetrics", "IncrementalQuery", "field", "recompute", "run_in_batches", "sources", "window_only"]

@@ -69,7 +69,8 @@ def as_files(spark: SparkSession, batches: list[DataFrame], columns: list[str])
     return folder
 
 
-def _to_table(stream: DataFrame, spark: SparkSession, mode: str) -> DataFrame:
+def _to_table(stream: DataFrame, spark: SparkSession, mode: str) -> list[DataFrame]:
+    """What each micro-batch puts out, written to the shared folder."""
     folder, out = checkpoint_folder(spark), []
     stream.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/native-{uuid.uuid4().hex}").trigger(availableNow=True).foreachBatch(lambda df, i: out.append(cut(df))).start().awaitTermination()
     return out
