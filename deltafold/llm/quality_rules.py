@@ -81,6 +81,7 @@ class Rule:
 def _tree_rules(x: np.ndarray, names: list[str], cuts: list[np.ndarray], bins: np.ndarray, grad: np.ndarray, rows: np.ndarray) -> tuple[list[Rule], np.ndarray]:
     """Rules of one tree's nodes, and the tree's output on all rows."""
     rules, out = [], np.zeros(len(x))
+    least = max(2, min(LEAST, len(rows) // 10))  # of small samples a tenth
 
     def grow(bounds: tuple, mine: np.ndarray, everyone: np.ndarray) -> None:
         best = (1e-9, None, None)
@@ -91,7 +92,7 @@ def _tree_rules(x: np.ndarray, names: list[str], cuts: list[np.ndarray], bins: n
                 size = np.bincount(bins[mine, f], minlength=len(cuts[f]) + 1)[:-1].cumsum()
                 total = np.bincount(bins[mine, f], weights=grad[mine], minlength=len(cuts[f]) + 1)
                 left, whole = total[:-1].cumsum(), total.sum()
-                ok = (size >= LEAST) & (len(mine) - size >= LEAST)
+                ok = (size >= least) & (len(mine) - size >= least)
                 if not ok.any():
                     continue
                 gain = np.where(ok, left**2 / np.maximum(size, 1) + (whole - left) ** 2 / np.maximum(len(mine) - size, 1) - whole**2 / len(mine), 0)
