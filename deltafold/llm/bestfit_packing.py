@@ -2,13 +2,16 @@
 
 1. *pieces*: texts become token ids; a document's ids end with a separator; only documents longer than a
    sequence are cut.
-2. *leaves*: each partition packs its pieces, longest first, into the fullest bin that has room.  Bins that
-   are nearly full leave at once.
+2. *leaves*: pieces are dealt in turn over the partitions, so each leaf holds the corpus' mix of lengths
+   however the input is laid out.  A leaf packs its pieces, longest first, into the fullest bin that has room.
+   Bins that are nearly full leave at once.
 3. *tree*: underfull bins of ``FAN_IN`` neighbouring nodes meet as items and are packed again, level by
-   level, until one node is left.  A node hands on the emptiest ``CARRY`` bins at most (the others leave as
-   they are), so the root's work is bounded whatever the input; nothing is dropped by that.
+   level, until one node is left.  Only fills and keys of bins travel; the moves (fewer than there are leaves)
+   are carried out at the end.
 
-A bin carries its pieces as an array (a sequence has room for ``capacity`` of them), so no joins are needed.
+No bin that could still take another leaves early.  Best fit leaves a node at most one bin that is half full
+or less, and two fuller bins never fit together, so ``FAN_IN`` nodes that meet make fewer than ``FAN_IN`` moves.
+A node therefore hands on ``FAN_IN`` bins of each fill for each level above it: more can never be asked for.
 
 Cases: a null or empty text is the separator alone (one piece of length 1); rows that repeat a document are
 packed as often as they occur; null ids stay null; an empty table gives an empty result; other columns are
@@ -33,7 +36,6 @@ from deltafold.session import cut
 CAPACITY = 2048
 SEPARATOR = 0
 FAN_IN = 16
-CARRY = 20_000
 #: A bin leaves when its free room is at most this part of a sequence.
 NEARLY_FULL = 1 / 128
 _ODD = re.compile("[\x1c-\x1f]")
@@ -173,25 +175,45 @@ def best_fit(sizes: list[int], capacity: int) -> list[list[int]]:
 
 
 _ITEM = pa.struct([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("ids", pa.binary()), ("offset", pa.int64())])
-_BIN_ARROW = pa.schema([("node", pa.int32()), ("fill", pa.int64()), ("leaves", pa.bool_()), ("items", pa.list_(_ITEM))])
-_BIN = "node int, fill long, leaves boolean, items array<struct<doc_id:long,piece:int,start:long,length:long,ids_crc32:long,ids:binary,offset:long>>"
-
-
-def _bins(node: int, groups: list[list[dict]], capacity: int) -> pa.Table:
-    """Groups of pieces packed; each group stays together."""
-    packed = best_fit([sum(p["length"] for p in g) for g in groups], capacity)
-    cols: list[list] = [[], [], [], []]
-    for places in packed:
-        items, at = [], 0
-        for p in (p for i in places for p in groups[i]):
-            items.append(p | {"offset": at})
-            at += p["length"]
-        for to, x in zip(cols, (node, at, at >= capacity * (1 - NEARLY_FULL), items), strict=True):
-            to.append(x)
-    staying = sorted((i for i, x in enumerate(cols[2]) if not x), key=lambda i: cols[1][i])
-    for i in staying[CARRY:]:
-        cols[2][i] = True
-    return pa.table(dict(zip(_BIN_ARROW.names, cols, strict=True)), schema=_BIN_ARROW)
+_BIN_ARROW = pa.schema([("node", pa.int32()), ("key", pa.int64()), ("fill", pa.int64()), ("items", pa.list_(_ITEM))])
+_BIN = "node int, key long, fill long, items array<struct<doc_id:long,piece:int,start:long,length:long,ids_crc32:long,ids:binary,offset:long>>"
+#: Bins on their way up, and moves (rows with a ``moved_to``).
+_LIGHT_ARROW = pa.schema([("node", pa.int32()), ("key", pa.int64()), ("fill", pa.int64()), ("moved_to", pa.int64())])
+_LIGHT = "node int, key long, fill long, moved_to long"
+
+
+def _in_turn(groups: list[list[dict]]) -> list[dict]:
+    """The pieces of bins that share a sequence, one after the other."""
+    items, at = [], 0
+    for p in (p for g in groups for p in g):
+        items.append(p | {"offset": at})
+        at += p["length"]
+    return items
+
+
+def levels_above(nodes: int) -> int:
+    """How often ``nodes`` nodes meet until one is left."""
+    n = 0
+    while nodes > 1:
+        nodes, n = -(-nodes // FAN_IN), n + 1
+    return n
+
+
+def handed_on(fills: list[int], capacity: int, levels: int) -> list[int]:
+    """Places of a packed node's bins that ``levels`` levels above it can have a use for."""
+    seen: dict[int, int] = {}
+    out = []
+    for i, fill in enumerate(fills):
+        if fill < capacity * (1 - NEARLY_FULL) and seen.get(fill, 0) < FAN_IN * levels:
+            seen[fill] = seen.get(fill, 0) + 1
+            out.append(i)
+    return out
+
+
+def meet(keys: list[int], fills: list[int], capacity: int) -> tuple[list[int], list[int], list[tuple[int, int]]]:
+    """Bins packed as items: keys and fills of what results, and moves (key, key of the bin it goes into)."""
+    bins = best_fit(fills, capacity)
+    return [keys[b[0]] for b in bins], [sum(fills[i] for i in b) for b in bins], [(keys[i], keys[b[0]]) for b in bins for i in b[1:]]
 
 
 def _leaves(capacity: int):
@@ -202,34 +224,62 @@ def _leaves(capacity: int):
                 node = batch["node"][0].as_py()
             pieces += batch.drop_columns(["node"]).to_pylist()
         if pieces:
-            yield from _bins(node, [[p] for p in pieces], capacity).to_batches()
+            packed = [_in_turn([[pieces[i]] for i in b]) for b in best_fit([p["length"] for p in pieces], capacity)]
+            cols = [[node] * len(packed), [(node << 40) + i for i in range(len(packed))], [x[-1]["offset"] + x[-1]["length"] for x in packed], packed]
+            yield from pa.table(dict(zip(_BIN_ARROW.names, cols, strict=True)), schema=_BIN_ARROW).to_batches()
+
+    return run
+
+
+def _onward(capacity: int, levels: int):
+    def run(batches):
+        rows = [r for b in batches for r in zip(b["node"].to_pylist(), b["key"].to_pylist(), b["fill"].to_pylist(), strict=True)]
+        rows = [rows[i] for i in handed_on([r[2] for r in rows], capacity, levels)]
+        yield pa.record_batch([pa.array([r[n] for r in rows], _LIGHT_ARROW.field(n).type) for n in range(3)] + [pa.nulls(len(rows), pa.int64())], schema=_LIGHT_ARROW)
 
     return run
 
 
-def _meet(capacity: int, last: bool):
+def _meeting(capacity: int, levels: int):
     def run(table: pa.Table) -> pa.Table:
-        out = _bins(table["node"][0].as_py(), table["items"].to_pylist(), capacity)
-        return out.set_column(2, "leaves", pa.array([True] * out.num_rows)) if last else out
+        node = table["node"][0].as_py()
+        keys, fills, moves = meet(table["key"].to_pylist(), table["fill"].to_pylist(), capacity)
+        stay = handed_on(fills, capacity, levels)
+        rows = [(node, keys[i], fills[i], None) for i in stay] + [(node, k, 0, to) for k, to in moves]
+        return pa.table({f.name: pa.array([r[n] for r in rows], f.type) for n, f in enumerate(_LIGHT_ARROW)}, schema=_LIGHT_ARROW)
 
     return run
 
 
+def _joined(table: pa.Table) -> pa.Table:
+    rows = sorted(table.to_pylist(), key=lambda r: (r["key"] != r["target"], r["key"]))
+    return pa.table({"items": pa.array([_in_turn([r["items"] for r in rows])], pa.list_(_ITEM))})
+
+
 def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     """``token_pieces`` rows with the sequence each lies in and its offset there."""
-    bins = cut(pieces.withColumn("node", F.spark_partition_id()).mapInArrow(_leaves(capacity), _BIN))
-    nodes = bins.rdd.getNumPartitions()
-    done = [bins.where("leaves")]
+    nodes = max(1, pieces.rdd.getNumPartitions())
+    dealt = pieces.repartition(nodes).withColumn("node", F.spark_partition_id())
+    bins = cut(dealt.mapInArrow(_leaves(capacity), _BIN))
+    nodes = max(1, bins.rdd.getNumPartitions())
+    going, moves = bins.select("node", "key", "fill").mapInArrow(_onward(capacity, levels_above(nodes)), _LIGHT), {}
     while nodes > 1:
         nodes = -(-nodes // FAN_IN)
-        carried = bins.where("not leaves").withColumn("node", F.floor(F.col("node") / FAN_IN).cast("int"))
-        bins = cut(carried.groupBy("node").applyInArrow(_meet(capacity, nodes == 1), _BIN))
-        done.append(bins.where("leaves"))
-    done[-1] = bins
-    out = done[0]
-    for more in done[1:]:
-        out = out.unionByName(more)
-    return out.withColumn("sequence_id", F.monotonically_increasing_id()).select("sequence_id", F.inline("items"))
+        met = cut(going.withColumn("node", F.floor(F.col("node") / FAN_IN).cast("int")).groupBy("node").applyInArrow(_meeting(capacity, levels_above(nodes)), _LIGHT))
+        moves |= {r["key"]: r["moved_to"] for r in met.where("moved_to is not null").collect()}  # fewer than leaves, in all levels together
+        going = met.where("moved_to is null")
+    whole = bins
+    if moves:
+        ends = {}
+        for key in moves:
+            to = moves[key]
+            while to in moves:
+                to = moves[to]
+            ends[key] = ends[to] = to
+        named = F.broadcast(pieces.sparkSession.createDataFrame(list(ends.items()), "key long, target long"))
+        joined = bins.join(named, "key").select("key", "target", "items").groupBy("target").applyInArrow(_joined, f"items {_BIN.split('items ')[1]}")
+        whole = bins.join(named, "key", "left_anti").select("items").unionByName(joined)
+    return whole.withColumn("sequence_id", F.monotonically_increasing_id()).select("sequence_id", F.inline("items"))
 
 
 def packed_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True) -> DataFrame:

@@ -150,6 +150,41 @@ def test_packing_places_every_piece_once(docs, none):
     assert bestfit_packing.packed_documents(none, path).count() == 0
 
 
+def test_packing_mixes_long_and_short_documents_of_apart_partitions(spark):
+    rows = [(i, 0, 0, 40 if i < 300 else 24, i, None) for i in range(600)]  # 300 of each pair up exactly
+    pieces = spark.createDataFrame(spark.sparkContext.parallelize(rows, 6), bestfit_packing._PIECE)  # three partitions of long ones, three of short
+    got = defaultdict(list)
+    for r in bestfit_packing.pack_pieces(pieces, 64).collect():
+        got[r.sequence_id].append((r.offset, r.length))
+    assert sum(map(len, got.values())) == 600 and all(sum(n for _, n in x) <= 64 for x in got.values())
+    assert len(got) <= 330  # apart they make 450
+
+
+def test_packing_tree_is_as_good_as_without_a_bound(monkeypatch):
+    monkeypatch.setattr(bestfit_packing, "FAN_IN", 3)
+    rng, capacity = np.random.default_rng(5), 128
+    leaves = []
+    for n in range(27):
+        sizes = rng.integers(66, 90, 2000).tolist() + rng.integers(1, 60, n % 3).tolist()
+        leaves.append([sum(sizes[i] for i in b) for b in bestfit_packing.best_fit(sizes, capacity)])
+    free, bound, left = [list(x) for x in leaves], leaves, []
+    for levels in (3, 2, 1):
+        kept = [bestfit_packing.handed_on(x, capacity, levels) for x in bound]
+        left += [f for x, k in zip(bound, kept, strict=True) for i, f in enumerate(x) if i not in set(k)]
+        assert sum(map(len, kept)) < sum(map(len, free))
+        up = [[x[i] for i in k] for x, k in zip(bound, kept, strict=True)]
+        together = lambda nodes: [sum(nodes[i : i + 3], []) for i in range(0, len(nodes), 3)]
+        bound = [bestfit_packing.meet(list(range(len(x))), x, capacity)[1] for x in together(up)]
+        free = [[sum(x[i] for i in b) for b in bestfit_packing.best_fit(x, capacity)] for x in together([[f for f in x if f < capacity * (1 - bestfit_packing.NEARLY_FULL)] for x in free])]
+    assert sorted(f for f in left + bound[0] if f < 127) == sorted(f for f in free[0] if f < 127)
+
+
+def test_packing_moves_bins_between_leaves(spark):
+    pieces = spark.createDataFrame([(i, 0, 0, 20, i, None) for i in range(20)], bestfit_packing._PIECE).repartition(20)
+    rows = bestfit_packing.pack_pieces(pieces, 64).collect()
+    assert len(rows) == 20 and len({r.sequence_id for r in rows}) <= 8 and len({(r.sequence_id, r.offset) for r in rows}) == 20
+
+
 def test_best_fit_uses_the_fullest_bin():
     assert sorted(map(sorted, bestfit_packing.best_fit([6, 5, 4, 3, 2], 10))) == [[0, 2], [1, 3, 4]]
 
