@@ -14,9 +14,12 @@ an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import re
+
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import BooleanType, IntegerType, StringType, StructField, StructType
 
 from deltafold.session import cut
 
@@ -111,10 +114,66 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     )
 
 
+def _firsts(white: re.Pattern):
+    """Sorted rows in; the first of each run out, with its partition, whether its run begins there and whether
+    it is the last."""
+
+    def normal(text: str | None) -> str:
+        return white.sub(" ", text or "")
+
+    def run(batches):
+        part, sha, text, held, first = None, None, None, None, True
+
+        def tagged(rows: pa.RecordBatch, at_start: list[bool], at_end: list[bool]):
+            for name, column in (("__part", pa.array([part] * rows.num_rows, pa.int32())), ("__at_start", pa.array(at_start, pa.bool_())), ("__at_end", pa.array(at_end, pa.bool_()))):
+                rows = rows.append_column(name, column)
+            return rows
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            if part is None:
+                part = batch["__part"][0].as_py()
+            hashes, texts, news = batch["__sha"].to_pylist(), batch["__text"].to_pylist(), []
+            for i, (h, t) in enumerate(zip(hashes, texts, strict=True)):
+                if sha is None or h != sha or t != text and normal(t) != normal(text):
+                    news.append(i)
+                    sha, text = h, t
+            if not news:
+                continue
+            rows = batch.drop_columns(["__part", "__text"])
+            if held is not None:
+                yield tagged(held, [first], [False])
+                first = False
+            if len(news) > 1:
+                n = len(news) - 1
+                yield tagged(rows.take(pa.array(news[:-1])), [first] + [False] * (n - 1), [False] * n)
+                first = False
+            held = rows.take(pa.array(news[-1:]))
+        if held is not None:
+            yield tagged(held, [first], [True])
+
+    return run
+
+
 def keep_first_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` whose document stays.  Ids are taken to be unique."""
-    gone = exact_duplicates(docs, id_col, text_col).where("not kept").select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")
+    """The first row (by id, nulls last) of each group of equal normalised texts.  Rows themselves are sorted,
+    so ids may repeat or be null: each row stays or goes by its own text."""
+    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    norm = normalised(F.col(text_col))
+    order = ["__head", "__sha", "__key"]
+    dealt = docs.withColumns({"__head": F.substring(norm, 1, HEAD), "__sha": F.sha2(norm, 256), "__key": F.coalesce(F.col(id_col).cast("long"), F.lit(_LAST))})
+    dealt = dealt.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    rows = dealt.select(*docs.columns, "__sha", F.spark_partition_id().alias("__part"), F.col(text_col).cast("string").alias("__text"))
+    schema = StructType([*docs.schema.fields, StructField("__sha", StringType()), StructField("__part", IntegerType()), StructField("__at_start", BooleanType()), StructField("__at_end", BooleanType())])
+    # Written once: both uses below must see the same splitters.
+    firsts = cut(rows.mapInArrow(_firsts(re.compile(WHITE)), schema))
+    # A partition's first run goes on from the one before where that ends with the same text.
+    ends = firsts.where("__at_start or __at_end").select("__part", "__at_start", "__at_end", "__sha")  # two short rows for each partition at most
+    line = Window.orderBy("__part")
+    before = ends.where("__at_end").select((F.lead("__part").over(line)).alias("__part"), F.col("__sha").alias("__before"))
+    goes_on = ends.where("__at_start").join(before, "__part").where("__sha = __before").select("__part", F.lit(True).alias("__at_start"))
+    return firsts.join(F.broadcast(goes_on), ["__part", "__at_start"], "left_anti").select(*docs.columns)
 
 
 def op6_exact_dedup(spark, sf_dir: str) -> DataFrame:

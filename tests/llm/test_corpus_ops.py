@@ -118,6 +118,19 @@ def test_exact_copies(docs, none):
     assert content_sort.exact_duplicates(none).count() == 0
 
 
+def test_first_copies_of_repeated_rows_and_ids(spark):
+    rows = [(1, "one  text"), (1, "one  text"), (2, "two"), (2, "one text"), (2, "another"), (None, "three"), (None, "three"), (None, "one text"), (None, "four"), (3, None), (4, ""), (5, "five")]
+    rows += [(10 + i, "many copies") for i in range(200)] + [(10, "many  copies")] * 5
+    for parts in (1, 4, 7):
+        spark.conf.set("spark.sql.shuffle.partitions", str(parts))
+        try:
+            got = content_sort.keep_first_copies(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+        finally:
+            spark.conf.set("spark.sql.shuffle.partitions", "4")
+        found = sorted((str(r.doc_id), re.sub(" +", " ", r.text or "")) for r in got)
+        assert found == sorted([("1", "one text"), ("2", "two"), ("2", "another"), ("None", "three"), ("None", "four"), ("3", ""), ("5", "five"), ("10", "many copies")])
+
+
 def test_bpe_equals_library_and_round_trips(docs, none):
     path = public_tokenizers.path("byte_bpe_50k.json")
     lib = Tokenizer.from_file(path)
