@@ -4,7 +4,8 @@ For each page the log-posterior over languages adds up
 
 * *text*: a naive Bayes likelihood of hashed character trigrams of the visible text, tempered because
   neighbouring trigrams are not independent; fitted on a bounded sample of documents of known language;
-* *markup*: P(declared language | language);
+* *markup*: P(declared language | language), declared by the first <html> tag outside comments and scripts,
+  wherever in the page it is;
 * *address*: P(address suffix | language), the suffix being a language segment of the path, else the last
   label of the host;
 * *host*: a prior smoothed hierarchically: a host's counts lean on its domain's, and these on the corpus'.
@@ -75,7 +76,8 @@ def fit_text(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", id
 
 
 def _read(table: np.ndarray, n_langs: int):
-    declared = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]+)", re.IGNORECASE)
+    root = re.compile(r"<html\b[^>]*", re.IGNORECASE)
+    declared = re.compile(r"\blang\s*=\s*[\"']?([A-Za-z]+)", re.IGNORECASE)
     address = re.compile(r"^[a-z][a-z0-9+.-]*://([^/?#:]*)[^/?#]*(?:/([a-z]{2})(?=[/?#]|$))?", re.IGNORECASE)
 
     def run(batches):
@@ -85,7 +87,8 @@ def _read(table: np.ndarray, n_langs: int):
                 grams = trigrams(visible_text(page))
                 like = table[grams].sum(0) * TEMPER if len(grams) else np.zeros(n_langs)
                 like = like - like.max() if n_langs else like
-                m, d = address.match(url), declared.search(page[:4096])
+                m, tag = address.match(url), root.search(_HIDDEN.sub(" ", page))
+                d = declared.search(tag[0]) if tag else None
                 host = (m[1] if m else "").lower()
                 labels = host.split(".")
                 row = (key, host, ".".join(labels[-2:]), (m[2] or labels[-1] if m else "").lower(), d[1].lower() if d else "", like.tolist())

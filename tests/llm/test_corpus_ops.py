@@ -261,3 +261,10 @@ def test_language_fusion_uses_all_evidence(spark):
     got = {r.page_id: r for r in language_fusion.identify(spark.createDataFrame(pages, "page_id long, url string, html string"), langs, table).collect()}
     assert len(got) == 23 and all(got[i].lang == ("en" if i % 2 else "fr") for i in range(20))
     assert got[100].lang == "en" and got[102].lang == "fr" and 0 < got[101].posterior <= 1
+
+
+def test_language_declared_after_a_long_comment(spark):
+    page = f"<!-- <html lang='en'> {'license ' * 2000}--><html class='x' lang='fr'><p></p></html>"
+    pages = [(i, "http://a.example.com/", page) for i in range(3)]
+    got = language_fusion.identify(spark.createDataFrame(pages, "page_id long, url string, html string"), ["en", "fr"], np.zeros((language_fusion.BINS, 2))).collect()
+    assert [r.declared for r in got] == ["fr"] * 3
