@@ -201,3 +201,12 @@ def test_sql_front_end_refuses_and_converts(spark):
     assert rows(run.answer()) == rows(recompute(q, tables)) == [("p", 10.0), ("q", 7.5)]
     with pytest.raises(Unsupported):
         from_sql(spark, "SELECT a FROM l JOIN r ON l.b < r.c", ["l", "r"], SCHEMAS)
+
+
+def test_gaps_are_measured_after_every_increment(spark):
+    from deltafold.workloads import iterative
+
+    got = iterative.kmeans_gaps(spark, 2000, 200, 2, 3)
+    assert [n for n, _, _ in got] == [0, 1, 2] and got[0][1] == 0 and all(g < 0.1 for _, g, _ in got)
+    got = iterative.pagerank_gaps(spark, 300, 50, ((10, 10), (10, 20)), 3)
+    assert [n for n, _, _ in got] == [0, 1, 2] and got[0][1] < 1e-9 and all(0 <= g < 0.2 and lost == 0 for _, g, lost in got)
