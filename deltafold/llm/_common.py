@@ -9,6 +9,7 @@ fingerprint that a third of all documents hold is sent once by each chunk, and n
 
 from __future__ import annotations
 
+import hashlib
 import math
 from dataclasses import dataclass
 
@@ -119,21 +120,43 @@ def rolling(items: np.ndarray, k: int, base: int) -> np.ndarray:
             length *= 2
 
 
-_SPACE = np.zeros(256, bool)
-_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
-_BASE = 0x9E3779B97F4A7C55  # odd, so it has an inverse modulo 2**64
-_INVERSE = pow(_BASE, -1, 2**64)
-_powers: list[np.ndarray] = [np.ones(1, U64), np.ones(1, U64)]
+def _joined(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """One hash for two that follow each other.  Each joint is mixed, so no pattern of equal items cancels out,
+    as patterns do in a sum of powers modulo 2**64."""
+    h = a * U64(0x9FB21C651E98DF25)
+    h += b
+    h ^= h >> U64(32)
+    h *= U64(0xD6E8FEB86659FD93)
+    return h
 
 
-def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_powers[0]) < n:
-        for which, base in enumerate((_BASE, _INVERSE)):
-            steps = np.full(n, base, U64)
-            steps[0] = 1
-            with np.errstate(over="ignore"):
-                _powers[which] = np.cumprod(steps, dtype=U64)
-    return _powers[0], _powers[1]
+def window_hashes(items: np.ndarray, k: int, seed: int = 0) -> np.ndarray:
+    """64-bit hash of every k consecutive items, built by doubling."""
+    n = len(items)
+    if n < k:
+        return np.zeros(0, U64)
+    with np.errstate(over="ignore"):
+        out, out_len, power, length = None, 0, items, 1
+        while True:
+            if k & length:
+                if out is None:
+                    out, out_len = power, length
+                else:
+                    m = n - out_len - length + 1
+                    out = _joined(out[:m], power[out_len : out_len + m])
+                    out_len += length
+            if out_len == k:
+                return mix(out[: n - k + 1], seed)
+            m = n - 2 * length + 1
+            power = _joined(power[:m], power[length : length + m])
+            length *= 2
+
+
+_SPACE = np.zeros(256, bool)
+_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
+#: Bytes up to which words are hashed together, eight bytes at a time; longer ones go through a digest.
+_LONG = 128
+_LOW_BYTES = np.array([(1 << 8 * n) - 1 for n in range(9)], U64)
 
 
 def word_bounds(raw: np.ndarray, starts_of_docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -152,15 +175,22 @@ def word_bounds(raw: np.ndarray, starts_of_docs: np.ndarray) -> tuple[np.ndarray
 
 
 def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hash of each byte range, by differences of one running sum."""
+    """64-bit hash of each byte range.  Ranges of one length of up to eight bytes never collide."""
     if len(starts) == 0:
         return np.zeros(0, U64)
-    power, inverse = _power_tables(len(raw) + 1)
+    padded = np.concatenate([raw, np.zeros(8, np.uint8)])
+    eight = np.ndarray((len(raw) + 1,), "<u8", padded, strides=(1,))  # the eight bytes from each place on
+    size = ends - starts
     with np.errstate(over="ignore"):
-        run = np.empty(len(raw) + 1, U64)
-        run[0] = 0
-        np.cumsum((raw.astype(U64) + U64(1)) * power[: len(raw)], out=run[1:])
-        return mix((run[ends] - run[starts]) * inverse[starts] + (ends - starts).astype(U64) * U64(0xD6E8FEB86659FD93))
+        h = mix(mix(size.astype(U64)) ^ (eight[starts] & _LOW_BYTES[np.minimum(size, 8)]))
+        more, done = np.flatnonzero(size > 8), 8
+        while len(more) and done < _LONG:
+            left = size[more] - done
+            h[more] = mix(h[more] ^ (eight[starts[more] + done] & _LOW_BYTES[np.minimum(left, 8)]))
+            more, done = more[left > 8], done + 8
+    for i in more.tolist():
+        h[i] = int.from_bytes(hashlib.blake2b(raw[starts[i] : ends[i]].tobytes(), digest_size=8).digest(), "little")
+    return h
 
 
 # ---------------------------------------------------------------- packed fingerprints

@@ -1,20 +1,28 @@
-"""Exact n-gram Jaccard join, to connected classes, by token-combination prefixes.
+"""Exact n-gram Jaccard join, to connected classes or to pairs, by token-combination prefixes.
 
 1. *document counts*: shingle fingerprints of each chunk go to buckets, which answer with each shingle's
-   class of document count (exact where it is 1).  Shingles are ordered by class, rarest first, then by hash.
+   class of document count (exact where it is 1).
 2. *who can link*: a document of n shingles needs ceil(t n) common ones, so one with more unique shingles
    than that leaves has no partner.  Documents with equal sets become one node.
-3. *leaders*: nodes that share a min-hash are compared with one of them only, the most central (of the most
+3. *tokens*: shingles that exactly the same nodes hold always come together, so they are one token with a
+   weight.  Passages that many documents share become one token each.  Tokens are ordered by their number of
+   nodes, rarest first.
+4. *leaders*: nodes that share a min-hash are compared with one of them only, the most central (of the most
    common shingles on average).  Then, for ``LEADER_ROUNDS`` rounds, so are nodes that share a prefix token
-   (see 4) but no label yet: first with the most central one, then with the most central of one label.  This joins large groups of near
-   copies by about as many comparisons as they have members.
-4. *prefixes*: two nodes that link share a token among the first n - ceil(t n) + 1 of each.  Tokens whose
-   nodes all have one label already are dropped.  Where a token leaves few pairs between labels, it is an
-   index key; where it leaves many, prefixes are extended by one and combinations of the token with each later
-   one are the keys (a linking pair shares two tokens there).  Only pairs between labels are compared.
-5. *verify* and contract: all compared pairs are checked on whole sets; links and equal sets give components.
+   but no label yet.  This joins large groups of near copies by about as many comparisons as they have members.
+5. *prefixes*: two nodes that link share a token before which each skips at most n - ceil(t n) of weight.  At
+   their first common token what is left of both must still make the overlap, so keys whose places do not allow
+   it make no pair.  A token of a rare class is a key by itself.  Where a token leaves many pairs between labels
+   (a frequent class), prefixes are extended: its combinations with each later token that a linking pair can have
+   as its second common one are the keys, if they leave fewer pairs than the token alone.
+6. *verify* and contract: all pairs left are checked on whole sets; links and equal sets give components.
 
-No pair is capped or dropped: every key's pairs between different labels are compared.
+Rows of one key meet only across labels: a row of label hash h goes to a group for each leading part of h, and
+meets there those whose next bit differs.  So a group's rows of one label never meet each other, each pair of
+labels meets once, and no pair is capped or dropped.
+
+Sets are compared by 64-bit fingerprints of shingles: a comparison of two documents of n and m shingles errs only
+where two of these n m pairs collide.  Sets are taken for equal by 128-bit digests.
 
 Cases: a null or empty text has no shingles and links with nothing; a text of fewer words than a shingle is
 one shingle; null ids link with nothing and get a null component; rows that repeat an id or text fall in one
@@ -41,10 +49,11 @@ PAIRS_PER_NODE = 16
 LEADER_KEYS = 4
 LEADER_ROUNDS = 3
 #: Bits of a fingerprint, besides its bucket's, by which documents are counted.  Two shingles that agree in
-#: them get one class, which changes the order of tokens in the same way everywhere, and no result.
+#: them get one class, which changes who is looked at further, and no result.
 COUNT_BITS = 32
-#: Pairs of one leader that are compared in one place; more are salted.
-SALT_AT = 256
+#: An element of a set is a token's hash with its weight in the low bits; heavier tokens are several elements.
+WEIGHT_BITS = 12
+_HEAVIEST = (1 << WEIGHT_BITS) - 1
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[ord("A") : ord("Z") + 1] += 32
@@ -59,13 +68,13 @@ def _sets(table: pa.Table, k: int):
         words = C.word_hashes(part, s, e)
         doc = np.searchsorted(begins, s, "right") - 1
         first = np.searchsorted(doc, np.arange(j - i + 1))
-        h = C.mix(C.rolling(words, k, 0xA0761D6478BD642F), k)
+        h = C.window_hashes(words, k, k)
         for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
             n = b - a
             if n >= k:
                 yield np.unique(h[a : b - k + 1])
             elif n:
-                yield C.mix(C.rolling(words[a:b], n, 0xA0761D6478BD642F), n)
+                yield C.window_hashes(words[a:b], n, n)
             else:
                 yield np.zeros(0, U64)
 
@@ -79,18 +88,18 @@ def _send(lay: C.Layout, k: int):
     return run
 
 
-_NODE = "id long, n long, node long, central int, tokens array<long>"
-_NODE_ARROW = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("central", pa.int32()), ("tokens", pa.list_(pa.int64()))])
+_ROW = "id long, n long, digest binary, central int, shingles array<long>"
+_ROW_ARROW = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("digest", pa.binary()), ("central", pa.int32()), ("shingles", pa.list_(pa.int64()))])
 
 
 def _needed(n: int, percent: int) -> int:
     return -(-percent * n // 100)
 
 
-def _nodes(lay: C.Layout, k: int, percent: int):
+def _rows(lay: C.Layout, k: int, percent: int):
     def run(texts: pa.Table, answers: pa.Table) -> pa.Table:
         if texts.num_rows == 0:
-            return _NODE_ARROW.empty_table()
+            return _ROW_ARROW.empty_table()
         sets = list(_sets(texts, k))
         _, back = np.unique(C.place(np.concatenate(sets), lay.buckets, COUNT_BITS), return_inverse=True)
         level = C.replies(answers)[back]
@@ -100,112 +109,161 @@ def _nodes(lay: C.Layout, k: int, percent: int):
             mine = level[at : at + len(s)]
             at += len(s)
             if len(s) and key is not None and np.count_nonzero(mine) >= _needed(len(s), percent):
-                cols[2].append(int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True))
+                cols[2].append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
                 cols[3].append(int(1000 * mine.mean()))
-                cols[4].append(None if cols[2][-1] in sent else s[np.argsort(mine, kind="stable")].view(np.int64))
+                cols[4].append(None if cols[2][-1] in sent else s.view(np.int64))
                 sent.add(cols[2][-1])  # copies within a chunk send their set once
             else:
                 for c in cols[2:]:
                     c.append(None)
-        return pa.table(dict(zip(_NODE_ARROW.names, cols, strict=True)), schema=_NODE_ARROW)
+        return pa.table(dict(zip(_ROW_ARROW.names, cols, strict=True)), schema=_ROW_ARROW)
 
     return run
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose sets are similar enough.  Pairs of a leader with many are salted."""
-    pairs = cut(pairs)
-    many = pairs.groupBy("a").agg(F.ceil(F.count("*") / SALT_AT).cast("int").alias("salts"))
-    salted = pairs.join(many, "a").withColumn("salt", F.pmod(F.xxhash64("b"), F.col("salts")).cast("int")).drop("salts")
-    left = sets.select(F.col("node").alias("a"), F.col("tokens").alias("ta"), F.col("n").alias("na")).join(many, "a")
-    left = left.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts")
-    right = sets.select(F.col("node").alias("b"), F.col("tokens").alias("tb"), F.col("n").alias("nb"))
-    both = salted.join(right, "b").join(left, ["a", "salt"])
-    common = F.size(F.array_intersect("ta", "tb")).cast("long")
-    return both.withColumn("common", common).where(100 * F.col("common") >= percent * (F.col("na") + F.col("nb") - F.col("common"))).select("a", "b")
-
-
-def _cross_pairs(entries: DataFrame, keys: DataFrame, percent: int) -> DataFrame:
-    """Distinct pairs of nodes with a common key and different labels, whose sizes allow a link.
-
-    ``keys`` has a row for each key and label; pairs of labels are formed first, so nodes of one label never
-    meet each other."""
-    one = keys.select("key", F.col("label").alias("la"))
-    two = keys.select("key", F.col("label").alias("lb"))
-    labels = one.join(two, "key").where("la < lb")
-    a = entries.select("key", F.col("label").alias("la"), F.col("node").alias("a"), F.col("n").alias("na"))
-    b = entries.select("key", F.col("label").alias("lb"), F.col("node").alias("b"), F.col("n").alias("nb"))
-    pairs = labels.join(a, ["key", "la"]).join(b, ["key", "lb"])
-    return pairs.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")).select("a", "b").distinct()
-
-
-def _label_counts(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Rows of (key, label, c), and of (key, nodes, pairs between labels), for keys with several labels."""
-    each = entries.groupBy("key", "label").agg(F.count("*").alias("c"))
-    keys = each.groupBy("key").agg(F.sum("c").alias("m"), F.sum(F.col("c") * F.col("c")).alias("same"), F.count("*").alias("labels"))
-    return each, keys.where("labels > 1").select("key", "m", ((F.col("m") * F.col("m") - F.col("same")) / 2).alias("cross"))
-
-
-def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """For each document: the size of its shingle set and the smallest id it is linked with, directly or not."""
+def _documents(docs: DataFrame, k: int, percent: int, id_col: str, text_col: str) -> DataFrame:
+    """Steps 1 and 2: a row for each document, with its set where it can link (once for each chunk's copies)."""
     lay = C.layout_for(docs, text_col)
     texts = C.by_chunk(docs, lay, id_col, text_col)
     sent = texts.groupBy("chunk").applyInArrow(_send(lay, k), C.PACKED)
     counts = C.exchange(sent, lay).groupBy("bucket").applyInArrow(C.tally, C.ANSWER)
-    rows = cut(texts.groupBy("chunk").cogroup(C.exchange(counts, lay, "chunk").groupBy("chunk")).applyInArrow(_nodes(lay, k, percent), _NODE))
-    del sent, counts, texts
-    release(docs.sparkSession)
+    return cut(texts.groupBy("chunk").cogroup(C.exchange(counts, lay, "chunk").groupBy("chunk")).applyInArrow(_rows(lay, k, percent), _ROW))
+
+
+def _nodes(rows: DataFrame) -> DataFrame:
+    """Documents with equal sets as one node, numbered."""
+    keys = F.array(*(F.array_min(F.transform("shingles", lambda x, s=s: F.xxhash64(x, F.lit(s)))) for s in range(LEADER_KEYS)))
+    sets = rows.where("shingles is not null").select("digest", "n", "central", "shingles").dropDuplicates(["digest"])
+    return cut(sets.select(F.monotonically_increasing_id().alias("node"), "digest", "n", "central", "shingles", keys.alias("looks")))
+
+
+def _elements(nodes: DataFrame) -> DataFrame:
+    """Step 3, a row for each node and token: (node, e, c, w, n, before), where ``before`` is the weight of the
+    node's tokens that come earlier; tokens of one node alone weigh, but have no row."""
+    spread = nodes.select("node", F.explode("shingles").alias("s"))
+    owners = spread.groupBy("s").agg(F.count("*").alias("c"), F.bit_xor(F.xxhash64("node")).alias("x"), F.bit_xor(F.xxhash64("node", F.lit(1))).alias("y"))
+    shared = owners.where("c > 1").select("s", "c", F.xxhash64("c", "x", "y").alias("t"))
+    tokens = spread.join(shared, "s").groupBy("node", "t").agg(F.first("c").alias("c"), F.count("*").alias("w"))
+    parts = tokens.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.expr(f"(w - 1) div {_HEAVIEST}"))))
+    weight = F.least(F.col("w") - F.col("j") * _HEAVIEST, F.lit(_HEAVIEST).cast("long"))
+    e = F.shiftleft(F.shiftright(F.xxhash64("t", "j"), WEIGHT_BITS), WEIGHT_BITS).bitwiseOR(weight)
+    parts = parts.select("node", e.alias("e"), "c", weight.cast("int").alias("w"))
+    mine = Window.partitionBy("node")
+    alone = F.col("n") - F.sum("w").over(mine)
+    running = F.sum("w").over(mine.orderBy("c", "e").rowsBetween(Window.unboundedPreceding, -1))
+    return cut(parts.join(nodes.select("node", "n"), "node").withColumn("before", alone + F.coalesce(running, F.lit(0))))
+
+
+def _slack(percent: int):
+    """Weight that a node can skip and still have a partner."""
+    return F.col("n") - F.ceil(F.col("n") * percent / 100)
+
+
+def _overlap(a, b, percent: int):
+    """Common shingles that sets of sizes a and b need, times 100 + percent."""
+    return F.lit(percent) * (a + b)
+
+
+def _verified(pairs: DataFrame, bags: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose sets are similar enough, with their common shingles."""
+    left = bags.select(F.col("node").alias("a"), F.col("es").alias("ea"), F.col("n").alias("na"))
+    right = bags.select(F.col("node").alias("b"), F.col("es").alias("eb"), F.col("n").alias("nb"))
+    common = F.aggregate(F.array_intersect("ea", "eb"), F.lit(0).cast("long"), lambda s, x: s + x.bitwiseAND(F.lit(_HEAVIEST).cast("long")))
+    both = pairs.join(right, "b").join(left, "a").withColumn("common", common)
+    return both.where(F.lit(100 + percent) * F.col("common") >= _overlap(F.col("na"), F.col("nb"), percent)).select("a", "b", "common")
+
+
+def _across(entries: DataFrame, percent: int) -> DataFrame:
+    """Distinct pairs of nodes with a common key and different labels whose sizes and places allow a link.
+
+    ``entries``: (key, label, node, n, left): ``left`` is the most that a node can have in common with another
+    if the key is where their common tokens begin."""
+    bits = F.xxhash64("label")
+    labels = entries.select("key", bits.alias("h")).distinct()
+    near = Window.partitionBy("key").orderBy(F.col("h").bitwiseXOR(F.lit(-(1 << 63))))
+    # how many leading bits two neighbouring label hashes of a key share: beyond that, groups hold one label
+    apart = F.col("h").bitwiseXOR(F.lag("h").over(near))
+    same = F.when(apart < 0, 0).otherwise(F.lit(63) - F.floor(F.log2(apart.cast("double"))).cast("int"))
+    depth = labels.withColumn("same", same).groupBy("key").agg(F.max("same").alias("depth")).where("depth is not null")
+    # log2 of a rounded double may be one too high: one more level does no harm, as no rows meet there
+    told = entries.withColumn("h", bits).join(depth, "key").withColumn("i", F.explode(F.expr("sequence(0, least(depth + 1, 63))")))
+    told = told.select("node", "n", "left", F.expr("xxhash64(key, i, CASE WHEN i = 0 THEN 0L ELSE shiftrightunsigned(h, 64 - i) END)").alias("g"), F.expr("shiftrightunsigned(h, 63 - i) & 1").alias("bit"))
+    a = told.where("bit = 0").select("g", F.col("node").alias("a"), F.col("n").alias("na"), F.col("left").alias("ra"))
+    b = told.where("bit = 1").select("g", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("left").alias("rb"))
+    enough = (F.lit(100 + percent) * F.least("ra", "rb") >= _overlap(F.col("na"), F.col("nb"), percent)) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+    return a.join(b, (a["g"] == b["g"]) & enough).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _cross(entries: DataFrame, *keys: str) -> DataFrame:
+    """For each key, its nodes and the pairs of them that have different labels."""
+    each = entries.groupBy(*keys, "label").agg(F.count("*").alias("k"))
+    return each.groupBy(*keys).agg(F.sum("k").alias("m"), ((F.sum("k") * F.sum("k") - F.sum(F.col("k") * F.col("k"))) / 2).alias("cross"))
+
+
+def _candidates(elements: DataFrame, entries: DataFrame, percent: int) -> DataFrame:
+    """Step 5.  ``entries``: prefix tokens (key, label, node, n, w, before) of keys with several labels."""
+    counted = cut(_cross(entries, "key"))
+    many = counted.where(F.col("cross") > PAIRS_PER_NODE * F.col("m")).select("key", "cross")
+    single = entries.withColumn("left", F.col("n") - F.col("before"))
+    if many.isEmpty():
+        return _across(single, percent)
+    first = entries.join(many.select("key"), "key", "left_semi").select("node", "label", "n", F.col("key").alias("one"), F.col("w").alias("w1"), F.col("before").alias("b1"))
+    later = elements.select("node", "e", F.col("w").alias("w2"), F.col("before").alias("b2"))
+    two = first.join(later, "node").where((F.col("b2") > F.col("b1")) & (F.col("b2") - F.col("w1") <= _slack(percent)))
+    two = two.select("one", F.xxhash64("one", "e").alias("key"), "label", "node", "n", (F.col("w1") + F.col("n") - F.col("b2")).alias("left"))
+    # nothing more in common: enough if the token alone is
+    alone = first.where(F.col("w1") >= F.ceil(F.col("n") * percent / 100)).select("one", F.xxhash64("one", F.lit("alone")).alias("key"), "label", "node", "n", F.col("w1").cast("long").alias("left"))
+    combined = cut(two.unionByName(alone))
+    cost = _cross(combined, "one", "key").groupBy("one").agg(F.sum("cross").alias("after"))
+    split = cut(many.join(cost, many["key"] == cost["one"], "left").where(F.coalesce("after", F.lit(0)) < F.col("cross")).select("key"))
+    pairs = _across(single.join(split, "key", "left_anti"), percent)
+    return pairs.unionByName(_across(combined.join(split.withColumnRenamed("key", "one"), "one", "left_semi"), percent)).distinct()
+
+
+def _index(nodes: DataFrame, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Elements, nodes with their elements as one array, and prefix tokens."""
+    elements = _elements(nodes)
+    bags = cut(elements.groupBy("node").agg(F.first("n").alias("n"), F.collect_list("e").alias("es")))
+    prefixes = elements.where(F.col("before") <= _slack(percent)).select("node", F.col("e").alias("key"), "n", "w", "before")
+    return elements, bags, cut(prefixes)
+
+
+def _mixed(prefixes: DataFrame, labels: DataFrame) -> DataFrame:
+    """Prefix tokens with their nodes' labels, of keys with several labels."""
+    found = prefixes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    several = found.groupBy("key").agg((F.min("label") < F.max("label")).alias("several")).where("several").select("key")
+    return cut(found.join(several, "key", "left_semi"))
 
-    members = rows.where("node is not null").select("id", "node")
-    need = F.ceil(F.col("n") * percent / 100).cast("int")
-    # Kept by node: every comparison below moves pairs to the sets, not sets to the pairs.
-    sets = rows.where("tokens is not null").select("node", "n", "central", "tokens", (F.col("n") - need + 1).cast("int").alias("prefix"))
-    sets = sets.repartition(lay.partitions, "node").dropDuplicates(["node"]).persist()
-    together = F.count("*").over(Window.partitionBy("key"))
-    prefixes = sets.select("node", "central", "n", F.explode(F.slice("tokens", F.lit(1), F.col("prefix"))).alias("key"))
-    prefixes = cut(prefixes.withColumn("c", together).where("c > 1").drop("c"))  # a token of one node indexes nothing
 
-    def labelled(links: DataFrame) -> DataFrame:
-        found = prefixes.join(components(links), "node", "left").withColumn("label", F.coalesce("label", "node"))
-        one = Window.partitionBy("key")
-        return cut(found.withColumn("mixed", F.min("label").over(one) < F.max("label").over(one)).where("mixed").drop("mixed"))
+def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """For each document: the size of its shingle set and the smallest id it is linked with, directly or not."""
+    rows = _documents(docs, k, percent, id_col, text_col)
+    release(docs.sparkSession)
+    nodes = _nodes(rows)
+    elements, bags, prefixes = _index(nodes, percent)
+    release(docs.sparkSession)
 
     # leaders
-    keys = F.array(*(F.array_min(F.transform("tokens", lambda x, s=s: F.xxhash64(x, F.lit(s)))) for s in range(LEADER_KEYS)))
-    looks = sets.select("node", "central", F.explode(keys).alias("key"))
+    looks = nodes.select("node", "central", F.explode("looks").alias("key"))
     leaders = looks.groupBy("key").agg(F.max(F.struct("central", "node"))["node"].alias("a"), F.count("*").alias("c")).where("c > 1").select("key", "a")
     pairs = looks.join(leaders, "key").where("a <> node").select("a", F.col("node").alias("b")).distinct()
-    links = cut(_verified(pairs, sets, percent))
-    entries = labelled(links)
+    links = cut(_verified(pairs, bags, percent).select("a", "b"))
+    central = nodes.select("node", "central")
+    entries = _mixed(prefixes, components(links))
     for turn in range(LEADER_ROUNDS):
         by = F.col("central").cast("long") if turn == 0 else F.xxhash64("label", F.lit(turn))
-        best = entries.groupBy("key").agg(F.max(F.struct(by.alias("by"), "central", "node", "label")).alias("top"))
-        leader = best.select("key", F.col("top.node").alias("a"), F.col("top.label").alias("la"))
-        found = cut(_verified(entries.join(leader, "key").where("la <> label").select("a", F.col("node").alias("b")).distinct(), sets, percent))
+        left = F.col("n") - F.col("before")
+        best = entries.join(central, "node").groupBy("key").agg(F.max(F.struct(by.alias("by"), "central", "node", "label", F.col("n").alias("na"), left.alias("ra"))).alias("top")).select("key", "top.node", "top.label", "top.na", "top.ra").toDF("key", "a", "la", "na", "ra")
+        enough = F.lit(100 + percent) * F.least("ra", left) >= _overlap(F.col("na"), F.col("n"), percent)
+        found = cut(_verified(entries.join(best, "key").where((F.col("la") != F.col("label")) & enough).select("a", F.col("node").alias("b")).distinct(), bags, percent).select("a", "b"))
         if found.isEmpty():
             break
         links = cut(links.unionByName(found))
-        entries = labelled(links)
-    release(docs.sparkSession)
+        entries = _mixed(prefixes, components(links))
 
-    # prefixes
-    each, mixed = _label_counts(entries)
-    mixed = cut(mixed)
-    rare = mixed.where(F.col("cross") <= PAIRS_PER_NODE * F.col("m")).select("key")
-    frequent = mixed.where(F.col("cross") > PAIRS_PER_NODE * F.col("m")).select("key")
-    open_pairs = _cross_pairs(entries.join(rare, "key", "left_semi"), each.join(rare, "key", "left_semi"), percent)
-    if not frequent.isEmpty():
-        labels = entries.select("node", "label").distinct()
-        at = sets.join(labels, "node").select("node", "label", "n", "prefix", "tokens", F.posexplode(F.slice("tokens", F.lit(1), F.col("prefix"))).alias("pos", "key")).join(frequent, "key", "left_semi")
-        later = F.slice("tokens", F.col("pos") + 2, F.col("prefix") - F.col("pos"))  # up to the prefix and one more
-        combined = at.select("node", "label", "n", F.col("key").alias("w"), F.explode(later).alias("w2")).select("node", "label", "n", F.xxhash64("w", "w2").alias("key"))
-        each2, mixed2 = _label_counts(combined)
-        mixed2 = mixed2.select("key")
-        open_pairs = open_pairs.unionByName(_cross_pairs(combined.join(mixed2, "key", "left_semi"), each2.join(mixed2, "key", "left_semi"), percent)).distinct()
-    more = _verified(open_pairs, sets, percent)
+    more = _verified(_candidates(elements, entries, percent), bags, percent).select("a", "b")
     labels = components(links.unionByName(more))
-    sets.unpersist()
-
+    members = rows.where("digest is not null").select("id", "digest").join(nodes.select("digest", "node"), "digest")
     classes = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     smallest = classes.groupBy("label").agg(F.min("id").alias("smallest"))
     # an id that stands in several rows belongs to the smallest of their classes
@@ -214,9 +272,25 @@ def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_
     return out.select("doc_id", "n_shingles", F.coalesce("smallest", "doc_id").alias("component_id"))
 
 
+def similar_pairs(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """All links: (pairs, members).  Pairs (a, b, common) are of documents with different sets, each set standing
+    under its smallest id; members (doc_id, representative) say which document has which set.  The pairs are as
+    many as there are links between different sets."""
+    rows = _documents(docs, k, percent, id_col, text_col)
+    nodes = _nodes(rows)
+    elements, bags, prefixes = _index(nodes, percent)
+    found = _verified(_candidates(elements, _mixed(prefixes, nodes.select("node", F.col("node").alias("label"))), percent), bags, percent)
+    members = cut(rows.where("digest is not null").select("id", "digest").join(nodes.select("digest", "node"), "digest"))
+    first = members.groupBy("node").agg(F.min("id").alias("rep"))
+    ends = found.join(first.select(F.col("node").alias("a"), F.col("rep").alias("ra")), "a").join(first.select(F.col("node").alias("b"), F.col("rep").alias("rb")), "b")
+    pairs = ends.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b"), "common")
+    return pairs, members.join(first, "node").select(F.col("id").alias("doc_id"), F.col("rep").alias("representative"))
+
+
 def keep_first_of_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that are the smallest id of their class.  Ids are taken to be unique."""
-    gone = similar_classes(docs, k, percent, id_col, text_col).where("component_id <> doc_id").select(F.col("doc_id").alias("__gone"))
+    """The rows of ``docs`` whose id is the smallest of its class (rows that repeat an id stay or go together; rows
+    without an id stay)."""
+    gone = similar_classes(docs, k, percent, id_col, text_col).where("component_id <> doc_id").select(F.col("doc_id").alias("__gone")).distinct()
     return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")
 
 
