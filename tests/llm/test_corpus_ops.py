@@ -11,6 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
+from deltafold.llm import _common as C
 from deltafold.llm import anisotropic_ann, bestfit_packing, content_sort, debruijn_spans, jaccard_join, language_fusion, prefix_bpe, quality_rules, radix_suffixes, secret_crf
 
 PASSAGE = " ".join(f"w{i}" for i in range(60))
@@ -108,6 +109,82 @@ def test_jaccard_classes(spark, docs, none):
     assert jaccard_join.similar_classes(none).count() == 0
 
 
+def _links(texts):
+    sets = []
+    for t in texts:
+        w = re.findall(WORD, re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        sets.append({tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set())
+    return sets, {(i, j): len(sets[i] & sets[j]) for j in range(len(sets)) for i in range(j) if sets[i] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])}
+
+
+def _root(pairs, n):
+    root = list(range(n))
+    for _ in range(n):
+        new = list(root)
+        for a, b in pairs:
+            new[a] = new[b] = min(new[a], new[b])
+        if new == root:
+            break
+        root = new
+    return root
+
+
+@pytest.mark.parametrize("per_node", [16, 0])
+def test_jaccard_of_passages_that_many_share(spark, monkeypatch, per_node):
+    monkeypatch.setattr(jaccard_join, "PAIRS_PER_NODE", per_node)  # 0: every token is of a frequent class
+    monkeypatch.setattr(jaccard_join, "LEADER_ROUNDS", 0 if per_node == 0 else 2)
+    rng = np.random.default_rng(2)
+    passages = [[f"p{n}_{i}" for i in range(rng.integers(8, 40))] for n in range(12)]
+    texts = [" ".join(w for n in rng.choice(12, rng.integers(2, 6), replace=False) for w in passages[n]) for _ in range(60)]
+    texts += [texts[i] + " extra tail" * int(rng.integers(0, 3)) for i in rng.integers(0, 60, 25)]
+    long = [f"l{i}" for i in range(5000)]  # one token of more than the heaviest weight
+    texts += [" ".join(long), " ".join(long + ["and", "more", "words"]), " ".join(long[:3800]), " ".join(long[:3600]), "", None]
+    sets, links = _links(texts)
+    root = _root(links, len(texts))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_join.similar_classes(df).collect()}
+    assert got == {i: (len(sets[i]), root[i]) for i in range(len(texts))}
+    pairs, members = jaccard_join.similar_pairs(df)
+    rep = {r.doc_id: r.representative for r in members.collect()}
+    found = {(r.a, r.b): r.common for r in pairs.collect()}
+    assert found == {(rep[a], rep[b]): c for (a, b), c in links.items() if rep[a] != rep[b] and rep[a] == a and rep[b] == b}
+    assert all(rep[a] == rep[b] for a, b in links if sets[a] == sets[b])
+
+
+def _thue_morse(n):
+    return [bin(i).count("1") % 2 for i in range(n)]
+
+
+def test_words_that_cancel_in_sums_of_powers_differ(spark):
+    one = "".join("ab"[x] for x in _thue_morse(1024))
+    two = "".join("ba"[x] for x in _thue_morse(1024))
+    line = lambda w: " ".join([w] * 40)
+    df = spark.createDataFrame([(0, one), (1, two), (2, line(one)), (3, line(two)), (4, " ".join("xy"[b] for b in _thue_morse(1024))), (5, " ".join("yx"[b] for b in _thue_morse(1024)))], "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in jaccard_join.similar_classes(df).collect()}
+    assert got[0] == 0 and got[1] == 1 and got[2] == 2 and got[3] == 3
+    spans = by_id(debruijn_spans.repeated_word_spans(df.where("doc_id in (0, 1)").selectExpr("doc_id", "concat(text, ' ', text) AS text"), 2))
+    assert spans[0].n_removed == spans[1].n_removed == 0
+
+
+def test_hashes_of_words_and_windows_depend_on_every_item():
+    rng = np.random.default_rng(4)
+    words = [bytes(rng.integers(97, 99, n).astype(np.uint8)) for n in [*range(1, 40), 127, 128, 129, 300, 1024] for _ in range(8)]
+    raw = np.frombuffer(b" ".join(words), np.uint8)
+    s, e = C.word_bounds(raw, np.zeros(1, np.int64))
+    h = C.word_hashes(raw, s, e)
+    assert len({(w, x) for w, x in zip(words, h.tolist(), strict=True)}) == len(set(words)) == len(set(h.tolist()))
+    for k in (1, 2, 5, 35):
+        win = C.window_hashes(h, k)
+        assert len(win) == len(h) - k + 1 and win[3] == C.window_hashes(h[3 : 3 + k], k)[0] and len(set(win.tolist())) == len({tuple(words[i : i + k]) for i in range(len(win))})
+
+
+def test_jaccard_rows_that_repeat_and_null_ids(spark):
+    a, b = " ".join(f"q{i}" for i in range(40)), " ".join(f"q{i}" for i in range(41))
+    rows = [(7, a), (7, a), (3, b), (None, a), (None, None), (9, "other"), (9, a), (1, None)]
+    got = sorted(map(tuple, jaccard_join.similar_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()), key=str)
+    assert got == sorted([(7, 36, 3), (7, 36, 3), (3, 37, 3), (None, 36, None), (None, 0, None), (9, 1, 3), (9, 36, 3), (1, 0, 1)], key=str)
+
+
 def test_exact_copies(docs, none):
     norm = {i: re.sub(r"[\x20\x09-\x0D]+", " ", t or "") for i, t in enumerate(TEXTS)}
     got = by_id(content_sort.exact_duplicates(docs))
