@@ -80,12 +80,15 @@ class WordIds:
 
     @staticmethod
     def _stem(word: str) -> tuple[str, str]:
-        """Letters, and marks that follow them: a pretoken each.  Letters of ASCII only are lower-cased, as the
-        vocabulary's normaliser does."""
+        """Letters, and marks that follow them: a pretoken each.  Only letters that the vocabulary's normaliser
+        leaves letters are split from their marks: ASCII ones, lower-cased as it does, and those that have no
+        upper case to lose."""
         stem = word.rstrip(_MARKS)
         if not stem.isalpha():
             return word, ""
-        return stem.lower() if stem.isascii() else stem, word[len(stem) :]
+        if stem.isascii():
+            return stem.lower(), word[len(stem) :]
+        return (stem, word[len(stem) :]) if stem.lower() == stem else (word, "")
 
     def texts(self, texts: list[str]) -> list[bytes]:
         if len(self.young) > self.limit:
