@@ -3,10 +3,12 @@
 import hashlib
 import re
 import zlib
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
@@ -54,6 +56,35 @@ def test_word_spans(docs, none):
     assert debruijn_spans.repeated_word_spans(none).count() == 0
 
 
+def test_word_spans_with_fingerprints_that_collide(monkeypatch):
+    """All steps in one process, on fingerprints of two bits: edges that only collide are put back."""
+    monkeypatch.setattr(debruijn_spans, "_first", lambda words, at, k: C.mix(C.window_hashes(words, k)[at] & np.uint64(1)))
+    monkeypatch.setattr(debruijn_spans, "_second", lambda words, at, k: C.mix(C.window_hashes(words, k)[at] & np.uint64(3)))
+    rng, k, lay = np.random.default_rng(0), 4, C.Layout(1, 2, 1)
+    texts = [" ".join(f"w{x}" for x in rng.integers(0, 6, n)) for n in (40, 30, 3, 0, 25)]
+    table = pa.table({"id": pa.array(range(len(texts)), pa.int64()), "text": texts, "chunk": pa.array([0] * len(texts), pa.int32())})
+    by_bucket = lambda t, f: pa.concat_tables([f(t.filter(pc.equal(t["bucket"], b))) for b in sorted(set(t["bucket"].to_pylist()))])
+    degree = by_bucket(debruijn_spans._send_edges(lay, k)(table), C.tally)
+    sure = by_bucket(debruijn_spans._send_checks(lay, k)(table, degree), debruijn_spans._confirm)
+    edges = debruijn_spans._digested(lay, k)(table, sure).to_pylist()
+    copies = Counter((r["key"], r["digest"]) for r in edges)
+    lone = [r for r in edges if copies[r["key"], r["digest"]] == 1]
+    assert lone  # there is something to put back
+    back = debruijn_spans._put_back(pa.table({"chunk": pa.array([0] * len(lone), pa.int32()), "place": pa.array([r["place"] for r in lone], pa.int64())}))
+    got = debruijn_spans._compact(lay, k, True)(table, pa.concat_tables([sure, back])).to_pylist()
+    seen = Counter(tuple(t.split()[i : i + k]) for t in texts for i in range(len(t.split()) - k + 1))
+    for t, r in zip(texts, got, strict=True):
+        w = t.split()
+        gone = {x for i in range(len(w) - k + 1) if seen[tuple(w[i : i + k])] > 1 for x in range(i, i + k)}
+        assert r["kept_text"] == " ".join(x for i, x in enumerate(w) if i not in gone) and r["n_removed"] == len(gone)
+
+
+def test_word_spans_of_repeated_rows_and_null_ids(spark):
+    line = " ".join(f"r{i}" for i in range(40))
+    got = sorted((str(r.doc_id), r.n_words, r.n_removed) for r in debruijn_spans.repeated_word_spans(spark.createDataFrame([(1, line), (1, line), (None, "x " + line), (None, None), (2, "alone")], "doc_id long, text string")).collect())
+    assert got == [("1", 40, 40), ("1", 40, 40), ("2", 1, 0), ("None", 0, 0), ("None", 41, 40)]
+
+
 def test_byte_spans(docs, none):
     raw = {i: (t or "").encode() for i, t in enumerate(TEXTS)}
     for k in (7, 50):
@@ -218,6 +249,16 @@ def test_bpe_equals_library_and_round_trips(docs, none):
     assert prefix_bpe.encoded_documents(none, path).count() == 0
 
 
+def test_word_ids_equal_library_on_odd_strings():
+    path = public_tokenizers.path("word_bpe_49k.json")
+    lib, ours = Tokenizer.from_file(path), bestfit_packing.WordIds(path)
+    parts = list("abXY.,;:!?*#'\"-_/ 01\t\n\x0b\x1c\x1d\x01\x00") + list("éÉİıßẞñÅåΣςж中本각ﬁŉǅªº²Ⅷ٣̇́ \u200b\u200d\u0085\u3000🙂K") + ["İ.", "İSTANBULİ!", "'LL", "<|endoftext|>", "<|", "Hello"]
+    rng = np.random.default_rng(6)
+    texts = ["İ.", "İSTANBULİ!", "x İ, y"] + ["".join(parts[i] for i in rng.integers(0, len(parts), rng.integers(1, 14))) for _ in range(4000)]
+    for t, got in zip(texts, ours.texts(texts), strict=True):
+        assert np.frombuffer(got, "<u4").tolist() == lib.encode(t, add_special_tokens=False).ids, ascii(t)
+
+
 def test_packing_places_every_piece_once(docs, none):
     path = public_tokenizers.path("word_bpe_49k.json")
     lib = Tokenizer.from_file(path)
