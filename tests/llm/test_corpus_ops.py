@@ -1,6 +1,7 @@
 """Corpus operators against brute force on a small fixture of awkward documents."""
 
 import hashlib
+import itertools
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -328,12 +329,128 @@ def test_secret_base_spans_and_redaction(docs, none):
     assert secret_crf.secret_spans(none).count() == 0
 
 
-def test_field_learns_and_decodes():
-    texts = [f'set token = "{i:040x}" now and {i + 10**15} there' for i in range(60)]
-    field = secret_crf.Field.fit([x for t in texts[:40] for x in secret_crf.tagged(t)])
-    for t in texts[40:]:
-        found = secret_crf.crf_spans(t, field, [])
-        assert [t[s:e] for _, s, e in found] == [re.search("[0-9a-f]{40}", t)[0]]
+def _plain_base_spans(text):
+    """The patterns by hand, character by character."""
+    out, value = [], set("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_.=-")
+    words = sorted(("password", "passwd", "secret", "token", "apikey", "api_key"), key=len, reverse=True)
+    lower = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text)
+
+    def assign(i):
+        for w in words:  # a shorter word may match where the longer does not
+            if lower.startswith(w, i):
+                for quote in (1, 0):
+                    j = i + len(w)
+                    if quote and text[j : j + 1] not in ("'", '"'):
+                        continue
+                    j += quote
+                    while text[j : j + 1] == " ":
+                        j += 1
+                    if text[j : j + 1] not in (":", "="):
+                        continue
+                    j += 1
+                    while text[j : j + 1] == " ":
+                        j += 1
+                    j += text[j : j + 1] in ("'", '"') and text[j : j + 1] != ""
+                    k = j
+                    while k < len(text) and text[k] in value:
+                        k += 1
+                    if k > j:
+                        return k, k - j
+        return None
+
+    i = 0
+    while i < len(text):
+        got = assign(i)
+        if got:
+            if got[1] >= 6:
+                out.append(("assign", i, got[0]))
+            i = got[0]
+        else:
+            i += 1
+    for kind, start, chars, least in (("access", "AKIA", set("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789"), 20), ("hex", "", set("0123456789abcdef"), 24)):
+        i = 0
+        while i < len(text):
+            k = i + len(start)
+            while text.startswith(start, i) and k < len(text) and text[k] in chars:
+                k += 1
+            if k > i + len(start):
+                if k - i >= least:
+                    out.append((kind, i, k))
+                i = k
+            else:
+                i += 1
+    return sorted(out, key=lambda x: (x[1], secret_crf.KINDS.index(x[0])))
+
+
+def test_base_spans_equal_a_plain_scan():
+    rng = np.random.default_rng(8)
+    parts = ["password", "Passwd", "SECRET", "token", "api_key", "apikey", '"', "'", " ", "  ", ":", "=", "=", "abc", "deadbeef0123", "AKIA", "ABCD1234EFGH5678", "0" * 24, "é", "\n", "x.-/+_", "toke", "K", "ſecret"]
+    for _ in range(3000):
+        t = "".join(parts[i] for i in rng.integers(0, len(parts), rng.integers(1, 12)))
+        assert secret_crf.base_spans(t) == _plain_base_spans(t), ascii(t)
+
+
+def test_viterbi_and_gradient_equal_enumeration():
+    rng = np.random.default_rng(9)
+    width = len(secret_crf._WIDTHS)
+    for _ in range(20):
+        field = secret_crf.Field.nothing()
+        field.step = rng.normal(size=(3, 3))
+        score = rng.normal(size=(5, 3)) * 2
+        value = lambda y: sum(score[t, a] for t, a in enumerate(y)) + sum(field.step[a, b] for a, b in zip((0, *y), (*y, 0), strict=True))  # noqa: E731, B023
+        assert tuple(field.viterbi(score)) == max(itertools.product(range(3), repeat=5), key=value)
+    # one feature a token: after training, marginals by enumeration meet the counts up to the ridge
+    ids = np.array([0, 1, 2, 1])
+    feats = np.repeat(ids[None, :, None], width, axis=2) * 0 + ids[None, :, None] + secret_crf._BASES[:-1] * 0
+    feats = np.repeat(feats, 30, axis=0)
+    tags = np.array([[0, 1, 2, 0]] * 20 + [[0, 0, 1, 0]] * 10)
+    field = secret_crf.Field.fit(feats, tags, rounds=600, ridge=0.0)
+    weight = field.weights[ids] * width
+    scores = {y: sum(weight[t, a] for t, a in enumerate(y)) + sum(field.step[a, b] for a, b in zip((0, *y), (*y, 0), strict=True)) for y in itertools.product(range(3), repeat=4)}
+    mass = np.exp(np.array(list(scores.values())))
+    share = dict(zip(scores, mass / mass.sum(), strict=True))
+    for f in range(3):
+        for a in range(3):
+            want = np.mean([sum(i == f and y == a for i, y in zip(ids, row, strict=True)) for row in tags.tolist()])
+            got = sum(p * sum(i == f and y == a for i, y in zip(ids, row, strict=True)) for row, p in share.items())
+            assert abs(want - got) < 0.05
+
+
+def _planted(rng, pattern):
+    noise = lambda n: " ".join("".join(chr(97 + c) for c in rng.integers(0, 26, rng.integers(2, 9))) for _ in range(n))
+    secret = "".join("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"[i] for i in rng.integers(0, 62, 32))
+    name = "token" if pattern else "auth_key"
+    more = f"call +1 (017) 555-{rng.integers(1000, 9999)} or {rng.integers(10**15, 10**16)} at 10.{rng.integers(256)}.7.{rng.integers(256)}"
+    return f'{noise(20)} {name} = "{secret}" {noise(15)} {more} {noise(5)}', secret
+
+
+def test_field_finds_what_patterns_miss_and_nothing_else():
+    rng = np.random.default_rng(10)
+    texts = [_planted(rng, True)[0] for _ in range(150)]
+    rows = [w for t in texts for w in secret_crf.windows(t)]
+    field = secret_crf.fit_windows([(f, x) for _, _, f, x in rows])
+    unseen = [_planted(rng, False) for _ in range(100)]
+    assert not any(secret_crf.base_spans(t) for t, _ in unseen)
+    found = secret_crf.crf_spans([t for t, _ in unseen], field)
+    right = sum(t[s:e] == secret for (t, secret), spans in zip(unseen, found, strict=True) for _, s, e in spans)
+    assert right >= 95 and sum(map(len, found)) - right <= 3  # recall and precision on keywords no pattern lists
+    # decoding between sure tokens equals Viterbi over the whole chain
+    for t, _ in unseen[:20]:
+        tokens = secret_crf.tagged([t], [[]])[0]
+        assert field.decode(tokens).tolist() == field.viterbi(field.scores(tokens)).tolist()
+    field.step = field.step + rng.normal(size=(3, 3)) * 3
+    field = secret_crf.Field(field.weights, field.step)
+    for t, _ in unseen[:20]:
+        tokens = secret_crf.tagged([t], [[]])[0]
+        assert field.decode(tokens).tolist() == field.viterbi(field.scores(tokens)).tolist()
+    assert secret_crf.crf_spans(["", " ", "é" * 3, "\n"], field)[0] == [] and secret_crf.Field.nothing().empty
+
+
+def test_tokens_cover_all_but_white_space():
+    texts = ["", "a b", 'é="x1" AKIA', "  ", "tail"]
+    t, tags = secret_crf.tagged(texts, [[], [(2, 3)], [], [], []])
+    got = [bytes(t.raw[s:e]).decode() for s, e in zip(t.starts, t.ends, strict=True)]
+    assert got == ["a", "b", "é", '="', "x1", '"', "AKIA", "tail"] and tags.tolist() == [0, 1, 0, 0, 0, 0, 0, 0] and t.doc.tolist() == [1, 1, 2, 2, 2, 2, 2, 4]
 
 
 def test_neighbours_recall_and_bad_vectors(spark):
