@@ -7,8 +7,10 @@ an invertible kind are lifted times the sign, so a deletion is one more merge.
 
 from __future__ import annotations
 
+import functools
+import inspect
 from collections.abc import Callable
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -58,6 +60,8 @@ class Monoid:
     values: str | None = None
     over_values: Callable[[Column, Column], Column] | None = field(default=None)
     deletable_as: Callable[[], Monoid] | None = field(default=None)
+    #: The expressions that ``lift`` reads, as text.
+    reads: tuple[str, ...] = ()
 
     @property
     def invertible(self) -> bool:
@@ -76,39 +80,65 @@ def product(*monoids: Monoid) -> str:
     return " x ".join(m.describe() for m in monoids)
 
 
+def _reading(*names: str):
+    """Notes which of a constructor's arguments are expressions."""
+
+    def deco(make):
+        order = list(inspect.signature(make).parameters)
+
+        @functools.wraps(make)
+        def made(*args, **options):
+            given = dict(zip(order, args, strict=False)) | options
+            texts = tuple(given[n] for n in names if given.get(n) is not None)
+            out = make(*args, **options)
+            again = out.deletable_as and (lambda: replace(out.deletable_as(), reads=texts))
+            return replace(out, reads=texts, deletable_as=again)
+
+        return made
+
+    return deco
+
+
 def _present(x: str) -> Callable[[], Column]:
     return lambda: F.when(F.expr(x).isNotNull(), F.col(SIGN)).otherwise(F.lit(0)).cast("long")
 
 
+@_reading("x")
 def count(x: str | None = None) -> Monoid:
     lift = _present(x) if x else lambda: F.col(SIGN).cast("long")
     return Monoid("count", (("n", ADD, lift),), lambda p: p["n"])
 
 
+@_reading("condition")
 def count_if(condition: str) -> Monoid:
     return Monoid("count_if", (("n", ADD, lambda: F.when(F.expr(condition), F.col(SIGN)).otherwise(F.lit(0)).cast("long")),), lambda p: p["n"])
 
 
+@_reading("x")
 def sum_(x: str, empty_zero: bool = False) -> Monoid:
     parts = (("s", ADD, lambda: _signed(F.coalesce(F.expr(x), F.lit(0)))), ("n", ADD, _present(x)))
     return Monoid("sum", parts, lambda p: F.coalesce(p["s"], F.lit(0)) if empty_zero else F.when(p["n"] != 0, p["s"]))
 
 
+@_reading("x")
 def avg(x: str) -> Monoid:
     parts = (("s", ADD, lambda: _signed(F.coalesce(F.expr(x), F.lit(0)))), ("n", ADD, _present(x)))
     return Monoid("avg", parts, lambda p: F.when(p["n"] != 0, p["s"].cast("double") / p["n"]))
 
 
+@_reading("x")
 def product_(x: str) -> Monoid:
     """Zeros are counted apart, so the others' product keeps its value (and logs need no care)."""
-    parts = (("p", TIMES, lambda: F.when(F.expr(x) != 0, F.expr(x).cast("double")).otherwise(F.lit(1.0))), ("z", ADD, lambda: F.when(F.expr(x) == 0, F.col(SIGN)).otherwise(F.lit(0)).cast("long")))
+    parts = (("p", TIMES, lambda: F.when(F.expr(x) != 0, F.pow(F.expr(x).cast("double"), F.col(SIGN))).otherwise(F.lit(1.0))), ("z", ADD, lambda: F.when(F.expr(x) == 0, F.col(SIGN)).otherwise(F.lit(0)).cast("long")))
     return Monoid("product", parts, lambda p: F.when(p["z"] > 0, F.lit(0.0)).otherwise(p["p"]))
 
 
+@_reading("x")
 def min_(x: str) -> Monoid:
     return Monoid("min", (("v", LEAST, lambda: F.expr(x)),), lambda p: p["v"], deletable_as=lambda: over_values("min", x, lambda v, n: F.min(v)))
 
 
+@_reading("x")
 def max_(x: str) -> Monoid:
     return Monoid("max", (("v", GREATEST, lambda: F.expr(x)),), lambda p: p["v"], deletable_as=lambda: over_values("max", x, lambda v, n: F.max(v)))
 
@@ -119,10 +149,12 @@ def _flags(x: str) -> tuple:
     return (("t", ADD, yes), ("f", ADD, no))
 
 
+@_reading("x")
 def every(x: str) -> Monoid:
     return Monoid("every", _flags(x), lambda p: F.when(p["t"] + p["f"] > 0, p["f"] == 0))
 
 
+@_reading("x")
 def some(x: str) -> Monoid:
     return Monoid("some", _flags(x), lambda p: F.when(p["t"] + p["f"] > 0, p["t"] > 0))
 
@@ -134,6 +166,7 @@ def _moments(*pairs: tuple[str, str]) -> tuple:
     return (*((f"m{i}", ADD, part(a, b)) for i, (a, b) in enumerate(pairs)), ("n", ADD, lambda: F.when(F.expr(both), F.col(SIGN)).otherwise(F.lit(0)).cast("long")))
 
 
+@_reading("x")
 def variance(x: str, population: bool = False, root: bool = False) -> Monoid:
     """Of whole numbers: n, sum and sum of squares are exact, so merging and deleting are."""
 
@@ -145,6 +178,7 @@ def variance(x: str, population: bool = False, root: bool = False) -> Monoid:
     return Monoid("variance", _moments((x, "1"), (x, x)), finish)
 
 
+@_reading("x", "y")
 def covariance(x: str, y: str, what: str = "covar_samp") -> Monoid:
     """Sample or population covariance, correlation, or the slope of y on x."""
 
@@ -156,10 +190,12 @@ def covariance(x: str, y: str, what: str = "covar_samp") -> Monoid:
     return Monoid(what, _moments((x, "1"), (y, "1"), (x, y), (x, x), (y, y)), finish)
 
 
+@_reading("x")
 def bit_xor(x: str) -> Monoid:
-    return Monoid("bit_xor", (("x", XOR, lambda: F.coalesce(F.expr(x), F.lit(0)).cast("long")),), lambda p: p["x"])
+    return Monoid("bit_xor", (("x", XOR, lambda: F.when(F.col(SIGN) % 2 != 0, F.coalesce(F.expr(x), F.lit(0))).otherwise(F.lit(0)).cast("long")),), lambda p: p["x"])
 
 
+@_reading("x")
 def bits(x: str, want: str, width: int = 16) -> Monoid:
     """bit_and or bit_or from counts of set bits, so rows can be deleted."""
     parts = tuple((f"b{i}", ADD, lambda i=i: F.expr(f"(({x}) >> {i}) & 1").cast("long") * F.col(SIGN)) for i in range(width))
@@ -174,6 +210,7 @@ def bits(x: str, want: str, width: int = 16) -> Monoid:
     return Monoid(f"bit_{want}", (*parts, ("n", ADD, lambda: F.col(SIGN).cast("long"))), finish)
 
 
+@_reading("value", "order")
 def by_order(value: str, order: str, newest: bool = True) -> Monoid:
     """The value at the greatest (or least) order; ties go to the greater (less) value."""
     kind = GREATEST if newest else LEAST
@@ -182,23 +219,27 @@ def by_order(value: str, order: str, newest: bool = True) -> Monoid:
     return Monoid("by_order", (("v", kind, lambda: F.expr(f"struct(({order}) AS o, ({value}) AS v)")),), lambda p: p["v"]["v"], deletable_as=again)
 
 
+@_reading("x")
 def top_k(x: str, k: int) -> Monoid:
     """The k greatest values, as a bounded list."""
     trim = Kind(f"top{k}", lambda c: F.slice(F.sort_array(F.flatten(F.collect_list(c)), asc=False), 1, k))
-    return Monoid("top_k", (("v", trim, lambda: F.expr(f"filter(array({x}), e -> e IS NOT NULL)")),), lambda p: p["v"], deletable_as=lambda: over_values("top_k", x, lambda v, n: F.slice(F.sort_array(F.flatten(F.collect_list(F.expr("array_repeat(__value, CAST(__n AS INT))"))), asc=False), 1, k)))
+    return Monoid("top_k", (("v", trim, lambda: F.expr(f"filter(array_repeat({x}, CAST(least({SIGN}, {k}) AS INT)), e -> e IS NOT NULL)")),), lambda p: p["v"], deletable_as=lambda: over_values("top_k", x, lambda v, n: F.slice(F.sort_array(F.flatten(F.collect_list(F.expr("array_repeat(__value, CAST(__n AS INT))"))), asc=False), 1, k)))
 
 
+@_reading("x")
 def bag(x: str) -> Monoid:
     """All values, in order of value (the order of arrival is no part of a bag)."""
     return over_values("bag", x, lambda v, n: F.sort_array(F.flatten(F.collect_list(F.expr("array_repeat(__value, CAST(__n AS INT))")))))
 
 
+@_reading("x", "order")
 def string_agg(x: str, order: str, separator: str = ",") -> Monoid:
     """Strings joined in order; the append monoid, kept as a bag and ordered in the answer."""
     rows = F.expr("array_repeat(__value, CAST(__n AS INT))")
     return over_values("string_agg", f"struct(({order}) AS o, ({x}) AS v)", lambda v, n: F.array_join(F.transform(F.sort_array(F.flatten(F.collect_list(rows))), lambda e: e["v"].cast("string")), separator))
 
 
+@_reading("x")
 def approx_distinct(x: str) -> Monoid:
     """An estimate by a sketch; opt-in, not exact, inserts only."""
     return Monoid("approx_distinct", (("h", Kind("sketch_of_values", F.hll_union_agg), lambda: F.expr(x)),), lambda p: F.hll_sketch_estimate(p["h"]))
@@ -209,23 +250,28 @@ def over_values(label: str, value: str, aggregate: Callable[[Column, Column], Co
     return Monoid(label, (), lambda p: p["r"], values=value, over_values=aggregate)
 
 
+@_reading("x")
 def count_distinct(x: str) -> Monoid:
     return over_values("count_distinct", x, lambda v, n: F.count(v))
 
 
+@_reading("x")
 def sum_distinct(x: str) -> Monoid:
     return over_values("sum_distinct", x, lambda v, n: F.sum(v))
 
 
+@_reading("x")
 def collect_set(x: str) -> Monoid:
     return over_values("collect_set", x, lambda v, n: F.sort_array(F.collect_set(v)))
 
 
+@_reading("x")
 def mode(x: str) -> Monoid:
     """The most frequent value; the least of several."""
     return over_values("mode", x, lambda v, n: F.min(F.struct(-n, v))["__value"])
 
 
+@_reading("x")
 def percentile(x: str, at: float) -> Monoid:
     """The discrete percentile: the least value with at least that share of the rows at or below it."""
     walk = f"""
@@ -236,6 +282,22 @@ def percentile(x: str, at: float) -> Monoid:
     return over_values("percentile", x, lambda v, n: F.expr(walk))
 
 
+@_reading("x")
+def histogram(x: str, low: float, high: float, buckets: int) -> Monoid:
+    """Rows in each of equal buckets from ``low`` to ``high``, the first and last of which are open to the outside;
+    an array."""
+    width = (high - low) / buckets
+    at = f"CAST(greatest(0, least({buckets - 1}, floor((({x}) - {low}) / {width}))) AS INT)"
+    parts = tuple((f"b{i}", ADD, lambda i=i: F.when(F.expr(at) == i, F.col(SIGN)).otherwise(F.lit(0)).cast("long")) for i in range(buckets))
+    return Monoid("histogram", parts, lambda p: F.array(*(p[f"b{i}"] for i in range(buckets))))
+
+
+@_reading("x")
+def invariant(x: str) -> Monoid:
+    """A value that is the same in all rows of a group, in state and batch, or an error."""
+    return Monoid("invariant", (("v", SAME, lambda: F.expr(x)),), lambda p: p["v"], deletable_as=lambda: over_values("invariant", x, lambda v, n: SAME.agg(v)))
+
+
 # ------------------------------------------------------------------ expressions over aggregates
 
 

@@ -7,6 +7,7 @@ term into state and answer.
 from __future__ import annotations
 
 import re
+from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
@@ -14,7 +15,9 @@ from pyspark.sql import functions as F
 
 from deltafold.functions.monoids import SIGN, Ex, as_ex, leaves, outer
 
-_UNSTABLE = re.compile(r"\b(rand|randn|uuid|now|current_timestamp|current_date|monotonically_increasing_id|shuffle)\s*\(", re.IGNORECASE)
+#: Functions whose value changes when a batch is replayed, and those among them that need no brackets.
+_UNSTABLE = re.compile(r"\b(?:(?:rand|randn|random|uuid|now|curdate|monotonically_increasing_id|spark_partition_id|input_file_name|shuffle)\s*\(|(?:current_timestamp|current_date|current_time|localtimestamp|current_user)\b)", re.IGNORECASE)
+_QUOTED = re.compile(r"'(?:[^'\\]|\\.|'')*'|\"(?:[^\"\\]|\\.)*\"|`[^`]*`")
 
 
 class Unsupported(ValueError):
@@ -51,6 +54,19 @@ class Term:
     def union(self, other: Term) -> Term:
         return Union((self, other))
 
+    def co_group(self, other: Term, on: dict[str, str]) -> Term:
+        return CoGroup(self, other, tuple(on.items()))
+
+    def then(self, f: Callable[[DataFrame], DataFrame], columns: list[str], label: str = "then") -> Term:
+        """A frame function of the whole result (windows, pivots, ...), which stays in the answer."""
+        return Then(self, f, tuple(columns), label)
+
+    def nested(self, sub: Term, on: dict[str, str], kind: str = "exists", condition: str | None = None, **value) -> Term:
+        """Rows for which a correlated subquery holds: ``exists``, ``not_exists``, or ``scalar`` with an aggregate
+        of the subquery's rows under a name that ``condition`` uses.  ``on``: own column -> subquery's."""
+        (name, aggregate), = value.items() or [(None, None)]
+        return Nested(self, sub, tuple(on.items()), kind, condition, name, None if aggregate is None else as_ex(aggregate))
+
     @property
     def children(self) -> tuple[Term, ...]:
         return ()
@@ -101,6 +117,48 @@ class Join(Term):
         return (self.left, self.right)
 
 
+@dataclass(frozen=True)
+class CoGroup(Term):
+    """For each key of either side both bags, as arrays ``left_bag`` and ``right_bag``; for groups of bounded size."""
+
+    left: Term
+    right: Term
+    on: tuple[tuple[str, str], ...]
+
+    @property
+    def children(self):
+        return (self.left, self.right)
+
+
+@dataclass(frozen=True)
+class Then(Term):
+    src: Term
+    f: Callable[[DataFrame], DataFrame] = field(compare=False)
+    columns: tuple[str, ...]
+    label: str = "then"
+
+    @property
+    def children(self):
+        return (self.src,)
+
+
+@dataclass(frozen=True)
+class Nested(Term):
+    """A correlated subquery in a filter; ``plans.unnest`` turns it into joins."""
+
+    src: Term
+    sub: Term
+    on: tuple[tuple[str, str], ...]
+    kind: str
+    condition: str | None
+    name: str | None
+    value: Ex | None
+
+    @property
+    def children(self):
+        return (self.src, self.sub)
+
+
 @dataclass(frozen=True)
 class Grouped:
     src: Term
@@ -191,8 +249,10 @@ def is_streaming(t: Term) -> bool:
 
 
 def rebuild(t: Term, children: list[Term]) -> Term:
-    if isinstance(t, Join):
+    if isinstance(t, (Join, CoGroup)):
         return replace(t, left=children[0], right=children[1])
+    if isinstance(t, Nested):
+        return replace(t, src=children[0], sub=children[1])
     if isinstance(t, Union):
         return replace(t, parts=tuple(children))
     return replace(t, src=children[0]) if children else t
@@ -207,9 +267,9 @@ def check_term(t: Term) -> None:
                 raise Unsupported("a join of two streams needs equal keys")
             if x.mode == "invariant" and is_streaming(x.left) and is_streaming(x.right):
                 raise Unsupported("mode invariant needs a side that is no stream")
-        texts = [x.condition, *(e for _, e in x.columns), (x.explode or (None, None))[1]] if isinstance(x, FlatMap) else [e for _, e in x.keys] if isinstance(x, Aggregate) else []
+        texts = [x.condition, *(e for _, e in x.columns), (x.explode or (None, None))[1]] if isinstance(x, FlatMap) else [e for _, e in x.keys] + [r for _, ex in x.aggregates for m in leaves(ex) for r in m.reads] if isinstance(x, Aggregate) else [x.condition] if isinstance(x, Nested) else []
         for text in texts:
-            if text and _UNSTABLE.search(text):
+            if text and _UNSTABLE.search(_QUOTED.sub("''", text)):
                 raise Unsupported(f"not the same on replay: {text}")
 
 
@@ -224,6 +284,16 @@ def explain_support(t: Term) -> tuple[bool, str]:
 # ------------------------------------------------------------------ batch evaluation
 
 
+def expanded(df: DataFrame) -> DataFrame:
+    """Rows that carry a multiplicity as that many rows; a heavy row in steps, so that no array is long."""
+    if SIGN not in df.columns:
+        return df
+    step = 10_000
+    lots = df.where(F.col(SIGN) > 0).withColumn("__lot", F.explode(F.expr(f"sequence(0L, (CAST({SIGN} AS BIGINT) - 1) div {step})")))
+    size = F.least(F.lit(step).cast("long"), F.col(SIGN) - F.col("__lot") * step).cast("int")
+    return lots.withColumn("__copy", F.explode(F.array_repeat(F.lit(0), size))).drop("__lot", "__copy", SIGN)
+
+
 def apply_flat_map(df: DataFrame, t: FlatMap) -> DataFrame:
     """One flat-map on a frame; the sign column passes through."""
     if t.condition:
@@ -279,7 +349,7 @@ def evaluate(t: Term, tables: dict[str, DataFrame], cells: dict[int, DataFrame]
     if isinstance(t, Cell):
         return cells[t.number]
     if isinstance(t, Values):
-        spark = next(iter(tables.values())).sparkSession
+        spark = next(iter({**tables, **(cells or {})}.values())).sparkSession
         return spark.createDataFrame(list(t.rows), t.schema)
     if isinstance(t, FlatMap):
         return apply_flat_map(go(t.src), t)
@@ -288,16 +358,32 @@ def evaluate(t: Term, tables: dict[str, DataFrame], cells: dict[int, DataFrame]
     if isinstance(t, Aggregate):
         return apply_aggregate(go(t.src), t)
     if isinstance(t, Distinct):
-        return go(t.src).distinct()
+        return go(t.src).drop(SIGN).distinct()
     if isinstance(t, Union):
-        out = go(t.parts[0])
-        for p in t.parts[1:]:
-            out = out.unionByName(go(p))
+        parts = [go(p) for p in t.parts]
+        if any(SIGN in p.columns for p in parts):
+            parts = [p if SIGN in p.columns else p.withColumn(SIGN, F.lit(1)) for p in parts]
+        out = parts[0]
+        for p in parts[1:]:
+            out = out.unionByName(p)
         return out
+    if isinstance(t, Then):
+        return t.f(expanded(go(t.src)))
+    if isinstance(t, CoGroup):
+        from deltafold.operators.merge import co_group
+
+        right = expanded(go(t.right))
+        for a, b in t.on:
+            right = right.withColumnRenamed(b, a)
+        return co_group(expanded(go(t.left)), right, [a for a, _ in t.on])
+    if isinstance(t, Nested):
+        from deltafold.plans.unnest import unnest
+
+        return go(unnest(t))
     if isinstance(t, OrderBy):
-        out = go(t.src).orderBy(*(F.expr(o[:-5]).desc() if o.lower().endswith(" desc") else F.expr(o).asc() for o in t.order))
+        out = expanded(go(t.src)).orderBy(*(F.expr(o[:-5]).desc() if o.lower().endswith(" desc") else F.expr(o).asc() for o in t.order))
         return out.limit(t.limit) if t.limit is not None else out
     raise Unsupported(type(t).__name__)
 
 
-__all__ = ["Aggregate", "Cell", "Distinct", "FlatMap", "Join", "OrderBy", "Source", "Term", "Union", "Unsupported", "Values", "apply_aggregate", "apply_flat_map", "apply_join", "check_term", "empty", "evaluate", "explain_support", "is_streaming", "leaves", "outer", "rebuild", "sources", "static", "stream", "values", "walk"]
+__all__ = ["Aggregate", "Cell", "CoGroup", "Distinct", "Nested", "Then", "expanded", "FlatMap", "Join", "OrderBy", "Source", "Term", "Union", "Unsupported", "Values", "apply_aggregate", "apply_flat_map", "apply_join", "check_term", "empty", "evaluate", "explain_support", "is_streaming", "leaves", "outer", "rebuild", "sources", "static", "stream", "values", "walk"]

@@ -22,13 +22,14 @@ class Group:
     """Monoids that share one state; a monoid over values has a state of its own."""
 
     monoids: tuple[tuple[int, Monoid], ...]  # place among the aggregate's subterms, monoid
+    plain: tuple[tuple[str, Kind], ...] = ()  # further columns that merge by themselves
 
     @property
     def values(self) -> str | None:
         return self.monoids[0][1].values if self.monoids else None
 
     def parts(self) -> list[tuple[str, Kind]]:
-        return [(f"p{i}_{name}", kind) for i, m in self.monoids for name, kind, _ in m.parts] + [(SUPPORT, ADD)]
+        return [(f"p{i}_{name}", kind) for i, m in self.monoids for name, kind, _ in m.parts] + [*self.plain, (SUPPORT, ADD)]
 
 
 def state_groups(aggregate, deletes: bool = False) -> list[Group]:

@@ -10,7 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def checkpoint_folder(spark: SparkSession) -> str:
-    """The shared folder for cut lineage: ``spark.checkpoint.dir`` where it is set, else a local one (tests)."""
+    """The shared folder for cut lineage: ``spark.checkpoint.dir`` where it is set, or the one the context has.  A
+    session that runs in one process may do without (a temporary one is made); a cluster may not."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     context = spark.sparkContext
     if folder:
@@ -18,6 +19,8 @@ def checkpoint_folder(spark: SparkSession) -> str:
             context.setCheckpointDir(folder)
         return folder
     if context.getCheckpointDir() is None:
+        if not (context.master == "local" or context.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="deltafold-checkpoint-"))
     return context.getCheckpointDir()
 
@@ -31,7 +34,7 @@ def cut(df: DataFrame) -> DataFrame:
 
 def release(spark: SparkSession) -> None:
     """Lets Spark delete shuffle files that nothing refers to any more (it does so when the driver collects
-    garbage, which may be long after)."""
+    garbage, which may be long after).  Call it between the stages of a long job, after their frames are gone."""
     for _ in range(2):
         gc.collect()
         spark.sparkContext._jvm.System.gc()

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
 from deltafold.functions.monoids import SIGN
-from deltafold.plans.incremental import IncrementalQuery
+from deltafold.plans.incremental import IncrementalQuery, appended
 from deltafold.session import checkpoint_folder, cut
 
 
@@ -33,21 +33,33 @@ def socket_stream(spark: SparkSession, host: str, port: int, schema: str, fmt: s
 
 class StreamRunner:
     """One query over one or several streams: they are tagged and stacked, so that a micro-batch holds a batch
-    of each and has one id; a batch that is replayed is skipped."""
+    of each and has one id.
+
+    The batch id is the version of the state.  A batch that is replayed after a restart (its offsets were not
+    yet committed) is folded only if its version does not count, and its output is written anew to the same
+    place, so that both are exact once.  For that the query needs a ``folder``.
+
+    ``emit``: ``complete`` puts out the whole answer after each batch; ``update`` the answer's rows whose group the
+    batch touches; ``append`` the batch's own rows, for queries that append (no state is kept or needed)."""
 
     def __init__(self, query: IncrementalQuery, out: str | None = None, emit: str = "complete"):
-        self.query, self.out, self.emit, self.done = query, out, emit, -1
+        if emit not in ("complete", "update", "append"):
+            raise ValueError(emit)
+        if emit == "append":
+            appended(query.query)
+        self.query, self.out, self.emit = query, out, emit
 
     def _batch(self, df: DataFrame, batch_id: int, schemas: dict[str, list[str]]) -> None:
-        if batch_id <= self.done:
-            return
         df = df.persist()
         tables = {name: df.where(F.col("__stream") == name).select(SIGN, f"r_{name}.*").select(*columns, SIGN) for name, columns in schemas.items()}
-        self.query.step(tables)
-        if self.out:
-            self.query.answer().write.mode("overwrite").parquet(f"{self.out}/batch={batch_id}")
+        if self.emit == "append":
+            rows = self.query.append_only(tables)
+        else:
+            self.query.step(tables, version=batch_id)
+            rows = self.query.touched(tables) if self.emit == "update" else self.query.answer()
+        if self.out and (self.emit == "append" or self.query.version == batch_id):
+            rows.write.mode("overwrite").parquet(f"{self.out}/batch={batch_id}")
         df.unpersist()
-        self.done = batch_id
 
     def run(self, streams: dict[str, DataFrame], checkpoint: str, trigger: dict | None = None) -> None:
         """Runs until all that is available has been read (or ``trigger`` ends it)."""

@@ -1,6 +1,7 @@
 """Where states live between batches.
 
-Every backend folds a delta (a state of the batch) into what it holds and hands out the merged frame.
+Every backend folds a delta (a state of the batch) into what it holds and hands out the merged frame.  A fold may
+name its version, e.g. a stream's batch id: a version that is already in the state is not folded again.
 """
 
 from __future__ import annotations
@@ -16,21 +17,85 @@ from deltafold.plans.partial import Group, lineage_columns, merged
 from deltafold.session import checkpoint_folder
 
 
+class Files:
+    """Small files and folders in any store that Spark reaches."""
+
+    def __init__(self, spark: SparkSession, folder: str):
+        jvm = spark.sparkContext._jvm
+        self.make = jvm.org.apache.hadoop.fs.Path
+        self.folder = folder
+        self.fs = self.make(folder).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+    def _path(self, name: str = ""):
+        return self.make(f"{self.folder}/{name}" if name else self.folder)
+
+    def put(self, name: str, text: str) -> None:
+        """Writes a file aside and renames it, so that it is there as a whole or not at all."""
+        aside = self._path(f".{uuid.uuid4().hex}")
+        out = self.fs.create(aside, True)
+        out.write(bytearray(text.encode()))
+        out.close()
+        to = self._path(name)
+        self.fs.mkdirs(to.getParent())
+        if self.fs.exists(to):
+            self.fs.delete(to, False)
+        if not self.fs.rename(aside, to):
+            raise OSError(f"{name} was not renamed into place")
+
+    def get(self, name: str) -> str:
+        stream = self.fs.open(self._path(name))
+        try:
+            return bytes(stream.readAllBytes()).decode()
+        finally:
+            stream.close()
+
+    def names(self, folder: str) -> list[str]:
+        path = self._path(folder)
+        return [s.getPath().getName() for s in self.fs.listStatus(path)] if self.fs.exists(path) else []
+
+    def drop(self, name: str = "") -> None:
+        self.fs.delete(self._path(name), True)
+
+
+class Pointers:
+    """Numbered pointers, each a JSON file; the greatest number is the newest."""
+
+    def __init__(self, files: Files, folder: str = "pointers"):
+        self.files, self.folder = files, folder
+
+    def versions(self) -> list[int]:
+        return sorted(int(n[1:]) for n in self.files.names(self.folder) if n.startswith("v") and n[1:].isdigit())
+
+    def read(self, version: int) -> dict:
+        return json.loads(self.files.get(f"{self.folder}/v{version}"))
+
+    def write(self, version: int, said: dict) -> None:
+        self.files.put(f"{self.folder}/v{version}", json.dumps(said))
+
+    def drop(self, version: int) -> None:
+        self.files.drop(f"{self.folder}/v{version}")
+
+
 class MemoryState:
     """Held in executors, hash-partitioned by lineage: only the delta moves.  Every ``cut_every`` versions the
-    rows go to the shared folder, so a lost executor costs a bounded recomputation."""
+    rows go to the shared folder, so a lost executor costs a bounded recomputation.  It ends with the session."""
+
+    durable = False
 
     def __init__(self, spark: SparkSession, group: Group, partitions: int | None = None, cut_every: int = 8, how: str = "union"):
         self.spark, self.group, self.cut_every, self.how = spark, group, cut_every, how
         self.partitions = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
-        self.version, self.held = -1, None
+        self.version, self.folds, self.held = -1, 0, None
 
     def _dealt(self, df: DataFrame) -> DataFrame:
         keys = lineage_columns(df.columns)
         return df.repartition(self.partitions, *keys) if keys else df
 
-    def fold(self, delta: DataFrame) -> DataFrame:
-        before, self.version = self.held, self.version + 1
+    def fold(self, delta: DataFrame, version: int | None = None) -> DataFrame:
+        version = self.version + 1 if version is None else version
+        if version <= self.version:
+            return self.held
+        before, self.version, self.folds = self.held, version, self.folds + 1
         if before is None:
             new = self._dealt(delta)
         elif self.how == "union":
@@ -39,7 +104,7 @@ class MemoryState:
             from deltafold.operators.merge import merge_states
 
             new = merge_states(before, delta, lineage_columns(before.columns), dict(self.group.parts()), how="join")
-        if self.version and self.version % self.cut_every == 0:
+        if self.folds > 1 and (self.folds - 1) % self.cut_every == 0:
             checkpoint_folder(self.spark)
             new = self._dealt(new.checkpoint(eager=True))
         self.held = new.persist()
@@ -58,93 +123,174 @@ class MemoryState:
 
 class LayeredState:
     """Deltas are appended as files; every ``compact_every`` versions they become one layer.  A version counts
-    once its pointer is written, so a batch that is replayed writes the same version again."""
+    once its pointer is written, so a batch that is replayed writes the same version again.  The last two
+    versions can be restored; layers that neither needs go."""
+
+    durable = True
 
     def __init__(self, spark: SparkSession, group: Group, folder: str | None = None, compact_every: int = 4):
         self.spark, self.group, self.compact_every = spark, group, compact_every
         self.folder = folder or f"{checkpoint_folder(spark)}/state-{uuid.uuid4().hex}"
+        self.files = Files(spark, self.folder)
+        self.pointers = Pointers(self.files)
         self.layers: list[str] = []
         self.version = -1
-        self._recover()
-
-    def _fs(self):
-        path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.folder)
-        return path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()), path
-
-    def _recover(self) -> None:
-        try:
-            row = self.spark.read.text(f"{self.folder}/pointer").orderBy(F.length("value").desc(), F.desc("value")).first()
-        except Exception as e:  # noqa: BLE001  no pointer yet
-            if "PATH_NOT_FOUND" not in str(e):
-                raise
-            row = None
-        if row:
-            said = json.loads(row["value"][row["value"].index("{") :])
-            self.version, self.layers = said["version"], said["layers"]
-
-    def _commit(self) -> None:
-        said = json.dumps({"version": self.version, "layers": self.layers})
-        self.spark.createDataFrame([(f"{self.version:09d}{said}",)], "value string").coalesce(1).write.mode("append").text(f"{self.folder}/pointer")
+        self.restore(max(self.pointers.versions(), default=-1))
+
+    def restore(self, version: int) -> None:
+        """Goes back to a version; later ones are forgotten."""
+        for v in self.pointers.versions():
+            if v > version:
+                self.pointers.drop(v)
+        there = [v for v in self.pointers.versions() if v <= version]
+        self.version, self.layers = version, []
+        if there:
+            self.layers = self.pointers.read(there[-1])["layers"]
+        elif version >= 0:
+            raise ValueError(f"{self.folder} has no version {version}")
 
     def fold(self, delta: DataFrame, version: int | None = None) -> DataFrame:
         version = self.version + 1 if version is None else version
         if version <= self.version:
             return self.read()  # a replay of a batch that was committed
-        layer = f"{self.folder}/v{version}"
-        delta.write.mode("overwrite").parquet(layer)
-        layers = [*self.layers, layer]
+        name = f"v{version}-{uuid.uuid4().hex[:8]}"  # another name for each try: nothing that a pointer names changes
+        delta.write.parquet(f"{self.folder}/{name}")
+        layers = [*self.layers, name]
         if len(layers) > self.compact_every:
-            whole = f"{self.folder}/c{version}"
-            self._union(layers).write.mode("overwrite").parquet(whole)
+            whole = f"c{version}-{uuid.uuid4().hex[:8]}"
+            self._union(layers).write.parquet(f"{self.folder}/{whole}")
             layers = [whole]
         self.version, self.layers = version, layers
-        self._commit()
+        self.pointers.write(version, {"version": version, "layers": layers})
+        self._sweep()
         return self.read()
 
+    def _sweep(self) -> None:
+        versions = self.pointers.versions()
+        for v in versions[:-2]:
+            self.pointers.drop(v)
+        needed = {x for v in versions[-2:] for x in self.pointers.read(v)["layers"]}
+        for name in self.files.names(""):
+            if name[0] in "vc" and name not in needed:
+                self.files.drop(name)
+
     def _union(self, layers: list[str]) -> DataFrame:
-        return merged(self.spark.read.parquet(*layers), self.group)
+        return merged(self.spark.read.parquet(*(f"{self.folder}/{x}" for x in layers)), self.group)
 
     def read(self) -> DataFrame:
         return self._union(self.layers)
 
     def close(self) -> None:
-        fs, path = self._fs()
-        fs.delete(path, True)
+        self.files.drop()
 
 
 class SortedBucketState:
-    """Bucketed and sorted tables, one for each version: the merge is a sort-merge join that moves only the
-    delta."""
+    """Bucketed and sorted tables, one for each version: a bucket of the old version is merged with its share of
+    the delta where it lies, so that only the delta moves."""
+
+    durable = False
 
     def __init__(self, spark: SparkSession, group: Group, buckets: int | None = None):
         self.spark, self.group = spark, group
         self.buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
-        self.name, self.version = f"state_{uuid.uuid4().hex}", -1
+        self.name, self.version, self.folds = f"state_{uuid.uuid4().hex}", -1, 0
+
+    def _table(self, number: int) -> str:
+        return f"{self.name}_{number}"
+
+    def merge(self, delta: DataFrame) -> DataFrame:
+        """The next version: one exchange, which is on the delta."""
+        keys = lineage_columns(delta.columns)
+        delta = delta.repartition(self.buckets, *keys) if keys else delta
+        return merged(self.read().unionByName(delta), self.group) if self.folds else delta
 
-    def _table(self, version: int) -> str:
-        return f"{self.name}_{version}"
+    def fold(self, delta: DataFrame, version: int | None = None) -> DataFrame:
+        version = self.version + 1 if version is None else version
+        if version <= self.version:
+            return self.read()
+        keys = lineage_columns(delta.columns)
+        writer = self.merge(delta).write.mode("overwrite")
+        (writer.bucketBy(self.buckets, *keys).sortBy(*keys) if keys else writer).saveAsTable(self._table(self.folds))
+        self.version, self.folds = version, self.folds + 1
+        if self.folds > 2:
+            self.spark.sql(f"DROP TABLE IF EXISTS {self._table(self.folds - 3)}")
+        return self.read()
+
+    def read(self) -> DataFrame:
+        return self.spark.table(self._table(self.folds - 1))
 
-    def fold(self, delta: DataFrame) -> DataFrame:
+    def close(self) -> None:
+        for n in (self.folds - 2, self.folds - 1):
+            self.spark.sql(f"DROP TABLE IF EXISTS {self._table(n)}")
+
+
+class KeyedState:
+    """One file set for each bucket of lineage: a batch rewrites the buckets that it touches and no others, so the
+    cost of a small batch follows its keys and not the state.  Buckets are Parquet folders; a version is the
+    list of the bucket folders it consists of."""
+
+    durable = True
+
+    def __init__(self, spark: SparkSession, group: Group, folder: str | None = None, buckets: int = 64):
+        self.spark, self.group, self.buckets = spark, group, buckets
+        self.folder = folder or f"{checkpoint_folder(spark)}/state-{uuid.uuid4().hex}"
+        self.files = Files(spark, self.folder)
+        self.pointers = Pointers(self.files)
+        self.version, self.where, self.touched = -1, {}, []
+        self.restore(max(self.pointers.versions(), default=-1))
+
+    def restore(self, version: int) -> None:
+        for v in self.pointers.versions():
+            if v > version:
+                self.pointers.drop(v)
+        there = [v for v in self.pointers.versions() if v <= version]
+        said = self.pointers.read(there[-1]) if there else {"where": {}}
+        self.version, self.where = version, {int(b): n for b, n in said["where"].items()}
+        self.schema = None
+
+    def _paths(self, buckets) -> list[str]:
+        return [f"{self.folder}/{self.where[b]}/__bucket={b}" for b in buckets if b in self.where]
+
+    def fold(self, delta: DataFrame, version: int | None = None) -> DataFrame:
+        version = self.version + 1 if version is None else version
+        if version <= self.version:
+            return self.read()
         keys = lineage_columns(delta.columns)
-        new = delta
-        if self.version >= 0:
-            new = merged(self.spark.table(self._table(self.version)).unionByName(delta), self.group)
-        writer = new.repartition(self.buckets, *keys).write.mode("overwrite")
-        (writer.bucketBy(self.buckets, *keys).sortBy(*keys) if keys else writer).saveAsTable(self._table(self.version + 1))
-        self.version += 1
-        if self.version > 1:
-            self.spark.sql(f"DROP TABLE IF EXISTS {self._table(self.version - 2)}")
+        self.schema = delta.schema
+        bucket = F.pmod(F.xxhash64(*keys), F.lit(self.buckets)).cast("int") if keys else F.lit(0)
+        delta = delta.withColumn("__bucket", bucket).persist()
+        mine = sorted(r[0] for r in delta.select("__bucket").distinct().collect())  # at most as many as there are buckets
+        old = self._paths(mine)
+        new = delta.drop("__bucket")
+        if old:
+            new = merged(self.spark.read.schema(self.schema).parquet(*old).unionByName(new), self.group)
+        name = f"k{version}-{uuid.uuid4().hex[:8]}"
+        if mine:
+            new.withColumn("__bucket", bucket).repartition("__bucket").write.partitionBy("__bucket").parquet(f"{self.folder}/{name}")
+        delta.unpersist()
+        self.where = self.where | dict.fromkeys(mine, name)
+        self.version, self.touched = version, mine
+        self.pointers.write(version, {"version": version, "where": self.where})
+        versions = self.pointers.versions()
+        for v in versions[:-2]:
+            self.pointers.drop(v)
+        needed = {x for v in versions[-2:] for x in self.pointers.read(v)["where"].values()}
+        for gone in self.files.names(""):
+            if gone[0] == "k" and gone not in needed:
+                self.files.drop(gone)
         return self.read()
 
     def read(self) -> DataFrame:
-        return self.spark.table(self._table(self.version))
+        paths = self._paths(sorted(self.where))
+        if not paths:
+            return self.spark.createDataFrame([], self.schema)
+        return (self.spark.read.schema(self.schema) if self.schema else self.spark.read).parquet(*paths)
 
     def close(self) -> None:
-        for v in (self.version - 1, self.version):
-            self.spark.sql(f"DROP TABLE IF EXISTS {self._table(v)}")
+        self.files.drop()
 
 
-BACKENDS = {"memory": MemoryState, "layered": LayeredState, "bucketed": SortedBucketState}
+BACKENDS = {"memory": MemoryState, "layered": LayeredState, "bucketed": SortedBucketState, "keyed": KeyedState}
 
 
 class StateCell:
@@ -153,8 +299,8 @@ class StateCell:
     def __init__(self, number: int, backend):
         self.number, self.backend = number, backend
 
-    def step(self, delta: DataFrame) -> DataFrame:
-        return self.backend.fold(delta)
+    def step(self, delta: DataFrame, version: int | None = None) -> DataFrame:
+        return self.backend.fold(delta, version)
 
     def check_support(self) -> None:
         """Raises where more rows were deleted than inserted."""
