@@ -44,8 +44,10 @@ from deltafold.session import cut, release
 
 U64 = np.uint64
 WORDS, PERCENT = 5, 75
-#: A token that leaves more pairs between labels than this many for each of its nodes is of a frequent class.
-PAIRS_PER_NODE = 16
+#: A token that leaves more pairs between labels than this many for each of its nodes is of a frequent class.  A pair
+#: costs a comparison of sizes and places inside the join (some 20 ns); a combination costs a row that is counted and
+#: shuffled, and a node has tens of them.
+PAIRS_PER_NODE = 1024
 LEADER_KEYS = 4
 LEADER_ROUNDS = 3
 #: Bits of a fingerprint, besides its bucket's, by which documents are counted.  Two shingles that agree in
