@@ -153,6 +153,8 @@ class Nested(Term):
     condition: str | None
     name: str | None
     value: Ex | None
+    #: What an empty group's sum is: zero (True), SQL's null (False), or as the way of unnesting has it.
+    zero: bool | None = None
 
     @property
     def children(self):
