@@ -67,6 +67,16 @@ class Term:
         (name, aggregate), = value.items() or [(None, None)]
         return Nested(self, sub, tuple(on.items()), kind, condition, name, None if aggregate is None else as_ex(aggregate))
 
+    def grouping_sets(self, sets: list[list[str]], columns: list[str], gid: str = "gid") -> Term:
+        """Each row once for every grouping set, with the columns that a set leaves out as null and a number that
+        tells the sets apart (a bit for each column, set where it is left out)."""
+        cells = []
+        for kept in sets:
+            number = sum(1 << (len(columns) - 1 - i) for i, c in enumerate(columns) if c not in kept)
+            parts = ", ".join(f"'{c}', {c if c in kept else f'IF(false, {c}, NULL)'}" for c in columns)
+            cells.append(f"named_struct('{gid}', CAST({number} AS BIGINT), {parts})")
+        return FlatMap(self, None, ("__set", f"array({', '.join(cells)})"), tuple((c, f"__set.{c}") for c in (*columns, gid)))
+
     @property
     def children(self) -> tuple[Term, ...]:
         return ()
