@@ -1,6 +1,6 @@
 """Numpy and Arrow building blocks that the corpus operators share.
 
-Texts travel in *chunks*: a chunk is the set of documents whose id hashes to one number, about
+Texts travel in *chunks*: a chunk is the set of documents whose id and text hash to one number, about
 ``chunk_bytes`` of text.  Fingerprints of a chunk's tokens travel to *buckets* as one packed row for
 each (chunk, bucket), never one row for each token, and a bucket answers with one byte for each packed
 fingerprint, in the order they were sent.  So no row holds more than a chunk's share of a bucket, a
@@ -42,13 +42,22 @@ def layout_for(docs: DataFrame, text_col: str = "text") -> Layout:
     return Layout(max(1, math.ceil(total / chunk_bytes)), 3 * partitions, partitions)
 
 
+def unused(name: str, taken) -> str:
+    """A column name like ``name`` that none of the columns ``taken`` has, in any case of letters."""
+    have = {c.lower() for c in taken}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
 def by_chunk(docs: DataFrame, lay: Layout, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, text, chunk) partitioned by chunk.  Null texts become empty.  Every later step that uses this
-    frame reads the same shuffle (one exchange, reused)."""
+    """(id, text, chunk) partitioned by chunk.  Null texts become empty.  Chunks follow id and text, so that rows
+    without an id, or different texts of one id, are no hot group.  Every later step that uses this frame reads the
+    same shuffle (one exchange, reused)."""
     return docs.select(
         F.col(id_col).cast("long").alias("id"),
         F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"),
-        F.pmod(F.xxhash64(F.col(id_col).cast("long")), F.lit(lay.chunks)).cast("int").alias("chunk"),
+        F.pmod(F.xxhash64(F.col(id_col).cast("long"), F.xxhash64(F.col(text_col).cast("string"))), F.lit(lay.chunks)).cast("int").alias("chunk"),
     ).repartition(lay.partitions, "chunk")
 
 

@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, IntegerType, StringType, StructField, StructType
 
+from deltafold.llm._common import unused
 from deltafold.session import cut
 
 WHITE = r"[\x20\x09-\x0D]+"
@@ -114,9 +115,9 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     )
 
 
-def _firsts(white: re.Pattern):
+def _firsts(white: re.Pattern, names: dict[str, str]):
     """Sorted rows in; the first of each run out, with its partition, whether its run begins there and whether
-    it is the last."""
+    it is the last.  ``names`` gives the working columns' names."""
 
     def normal(text: str | None) -> str:
         return white.sub(" ", text or "")
@@ -125,23 +126,23 @@ def _firsts(white: re.Pattern):
         part, sha, text, held, first = None, None, None, None, True
 
         def tagged(rows: pa.RecordBatch, at_start: list[bool], at_end: list[bool]):
-            for name, column in (("__part", pa.array([part] * rows.num_rows, pa.int32())), ("__at_start", pa.array(at_start, pa.bool_())), ("__at_end", pa.array(at_end, pa.bool_()))):
-                rows = rows.append_column(name, column)
+            for name, column in (("part", pa.array([part] * rows.num_rows, pa.int32())), ("at_start", pa.array(at_start, pa.bool_())), ("at_end", pa.array(at_end, pa.bool_()))):
+                rows = rows.append_column(names[name], column)
             return rows
 
         for batch in batches:
             if not batch.num_rows:
                 continue
             if part is None:
-                part = batch["__part"][0].as_py()
-            hashes, texts, news = batch["__sha"].to_pylist(), batch["__text"].to_pylist(), []
+                part = batch[names["part"]][0].as_py()
+            hashes, texts, news = batch[names["sha"]].to_pylist(), batch[names["text"]].to_pylist(), []
             for i, (h, t) in enumerate(zip(hashes, texts, strict=True)):
                 if sha is None or h != sha or t != text and normal(t) != normal(text):
                     news.append(i)
                     sha, text = h, t
             if not news:
                 continue
-            rows = batch.drop_columns(["__part", "__text"])
+            rows = batch.drop_columns([names["part"], names["text"]])
             if held is not None:
                 yield tagged(held, [first], [False])
                 first = False
@@ -160,20 +161,21 @@ def keep_first_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     """The first row (by id, nulls last) of each group of equal normalised texts.  Rows themselves are sorted,
     so ids may repeat or be null: each row stays or goes by its own text."""
     parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    names = {x: unused(f"__{x}", docs.columns) for x in ("head", "sha", "key", "part", "text", "at_start", "at_end", "before")}
+    head, sha, key, part, text, at_start, at_end, before = names.values()
     norm = normalised(F.col(text_col))
-    order = ["__head", "__sha", "__key"]
-    dealt = docs.withColumns({"__head": F.substring(norm, 1, HEAD), "__sha": F.sha2(norm, 256), "__key": F.coalesce(F.col(id_col).cast("long"), F.lit(_LAST))})
-    dealt = dealt.repartitionByRange(parts, *order).sortWithinPartitions(*order)
-    rows = dealt.select(*docs.columns, "__sha", F.spark_partition_id().alias("__part"), F.col(text_col).cast("string").alias("__text"))
-    schema = StructType([*docs.schema.fields, StructField("__sha", StringType()), StructField("__part", IntegerType()), StructField("__at_start", BooleanType()), StructField("__at_end", BooleanType())])
+    dealt = docs.withColumns({head: F.substring(norm, 1, HEAD), sha: F.sha2(norm, 256), key: F.coalesce(F.col(id_col).cast("long"), F.lit(_LAST))})
+    dealt = dealt.repartitionByRange(parts, head, sha, key).sortWithinPartitions(head, sha, key)
+    rows = dealt.select(*docs.columns, sha, F.spark_partition_id().alias(part), F.col(text_col).cast("string").alias(text))
+    schema = StructType([*docs.schema.fields, StructField(sha, StringType()), StructField(part, IntegerType()), StructField(at_start, BooleanType()), StructField(at_end, BooleanType())])
     # Written once: both uses below must see the same splitters.
-    firsts = cut(rows.mapInArrow(_firsts(re.compile(WHITE)), schema))
+    firsts = cut(rows.mapInArrow(_firsts(re.compile(WHITE), names), schema))
     # A partition's first run goes on from the one before where that ends with the same text.
-    ends = firsts.where("__at_start or __at_end").select("__part", "__at_start", "__at_end", "__sha")  # two short rows for each partition at most
-    line = Window.orderBy("__part")
-    before = ends.where("__at_end").select((F.lead("__part").over(line)).alias("__part"), F.col("__sha").alias("__before"))
-    goes_on = ends.where("__at_start").join(before, "__part").where("__sha = __before").select("__part", F.lit(True).alias("__at_start"))
-    return firsts.join(F.broadcast(goes_on), ["__part", "__at_start"], "left_anti").select(*docs.columns)
+    ends = firsts.where(F.col(at_start) | F.col(at_end)).select(part, at_start, at_end, sha)  # two short rows for each partition at most
+    line = Window.orderBy(part)
+    previous = ends.where(at_end).select(F.lead(part).over(line).alias(part), F.col(sha).alias(before))
+    goes_on = ends.where(at_start).join(previous, part).where(F.col(sha) == F.col(before)).select(part, F.lit(True).alias(at_start))
+    return firsts.join(F.broadcast(goes_on), [part, at_start], "left_anti").select(*docs.columns)
 
 
 def op6_exact_dedup(spark, sf_dir: str) -> DataFrame:

@@ -22,6 +22,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from deltafold.llm._common import unused
+
 #: Labelled documents that the fit reads at most (about).
 SAMPLE_ROWS = 20_000
 TREES, DEPTH, BINS, LEAST = 24, 3, 32, 20
@@ -159,11 +161,13 @@ class RuleEnsemble:
 
 
 def with_statistics(docs: DataFrame, keep: list[Column], text_col: str = "text") -> DataFrame:
-    """The kept columns and a struct ``__stats``."""
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    staged = docs.select(*keep, text.alias("__text")).withColumn("__words", F.filter(F.split("__text", r"[\x20\x09-\x0D]+"), lambda w: w != ""))
-    stats = statistics(F.col("__text"), F.col("__words"))
-    return staged.withColumn("__stats", F.struct(*(c.cast("double").alias(s) for s, c in stats.items()))).drop("__text", "__words")
+    """The kept columns and, last, a struct of the statistics under a name that none of them has."""
+    kept = docs.select(*keep).columns
+    text, words, found = (unused(x, kept) for x in ("__text", "__words", "__stats"))
+    staged = docs.select(*keep, F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias(text))
+    staged = staged.withColumn(words, F.filter(F.split(text, r"[\x20\x09-\x0D]+"), lambda w: w != ""))
+    stats = statistics(F.col(text), F.col(words))
+    return staged.withColumn(found, F.struct(*(c.cast("double").alias(s) for s, c in stats.items()))).drop(text, words)
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", sample_rows: int = SAMPLE_ROWS) -> RuleEnsemble:
@@ -172,7 +176,8 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     told = told.where("__low = __high").select("__id", F.col("__low").cast("double").alias("__y"))
     classes = max(1, told.count() // sample_rows)
     some = F.broadcast(told.where(F.pmod(F.xxhash64("__id"), F.lit(classes)) == 0))  # about sample_rows rows, whatever the table's size
-    rows = with_statistics(docs.join(some, docs[id_col].cast("long") == some["__id"]), [F.col("__y")], text_col).limit(2 * sample_rows).collect()
+    texts = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).alias("__t"))
+    rows = with_statistics(texts.join(some, "__id"), [F.col("__y")], "__t").limit(2 * sample_rows).collect()
     if not rows:
         return RuleEnsemble((), (), 0.0)
     y = np.array([r["__y"] for r in rows])
@@ -184,11 +189,12 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     return RuleEnsemble(tuple(rules[i] for i in left), tuple(float(w[i]) for i in left), b)
 
 
-def scored(docs: DataFrame, model: RuleEnsemble, keep: list[Column], text_col: str = "text") -> DataFrame:
-    """The kept columns and a double ``score``."""
+def scored(docs: DataFrame, model: RuleEnsemble, keep: list[Column], text_col: str = "text", name: str = "score") -> DataFrame:
+    """The kept columns and a double ``name``."""
     staged = with_statistics(docs, keep, text_col)
-    of = {s: F.col(f"__stats.{s}") for s in staged.schema["__stats"].dataType.names}
-    return staged.withColumn("score", model.score(of)).drop("__stats")
+    found = staged.columns[-1]
+    of = {s: F.col(f"{found}.{s}") for s in staged.schema[found].dataType.names}
+    return staged.withColumn(name, model.score(of)).drop(found)
 
 
 def held_out(key: Column) -> Column:
