@@ -20,7 +20,10 @@ from deltafold.session import checkpoint_folder
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble does not reject (score of 0.5 or more)."""
     model = quality_rules.train_for(spark, docs, sf_dir)
-    return quality_rules.scored(docs, model, [F.col(c) for c in docs.columns]).where("score >= 0.5").drop("score")
+    score = "__quality_score"
+    while score in docs.columns:
+        score += "_"
+    return quality_rules.scored(docs, model, [F.col(c) for c in docs.columns], name=score).where(F.col(score) >= 0.5).drop(score)
 
 
 def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
