@@ -320,7 +320,8 @@ def apply_flat_map(df: DataFrame, t: FlatMap) -> DataFrame:
 
 
 def apply_join(left: DataFrame, right: DataFrame, t: Join) -> DataFrame:
-    """The join; the signs of two signed sides multiply."""
+    """The join; the signs of two signed sides multiply.  Where partners arrive and leave together, two deleted rows
+    are a deleted pair, and a row that comes has nothing to do with one that goes in the same batch."""
     signed = [SIGN in left.columns, SIGN in right.columns]
     left = left.withColumnRenamed(SIGN, "__sl") if signed[0] else left
     right = right.withColumnRenamed(SIGN, "__sr") if signed[1] else right
@@ -334,7 +335,10 @@ def apply_join(left: DataFrame, right: DataFrame, t: Join) -> DataFrame:
         sign = F.lit(1)
         for name, there in zip(("__sl", "__sr"), signed, strict=True):
             sign = sign * F.coalesce(F.col(name), F.lit(1)) if there else sign
-        out = out.withColumn(SIGN, sign.cast("int")).drop("__sl", "__sr")
+        if all(signed) and t.mode == "co_arrival":
+            out = out.where("__sl * __sr > 0")
+            sign = F.abs(sign) * F.signum("__sl")
+        out = out.withColumn(SIGN, sign.cast("long")).drop("__sl", "__sr")
     return out
 
 

@@ -24,7 +24,7 @@ def square_points(spark: SparkSession, rows: int, half_width: float = 1.0, seed:
     return ids.select("id", (centre(1) + (2 * _unit(F.col("id"), 100 + seed) - 1) * half_width).alias("x"), (centre(2) + (2 * _unit(F.col("id"), 200 + seed) - 1) * half_width).alias("y"))
 
 
-def rmat_edges(spark: SparkSession, edges: int, nodes: int, a: float = 0.30, b: float = 0.25, c: float = 0.25, seed: int = 0, first_node: int = 0) -> DataFrame:
+def rmat_edges(spark: SparkSession, edges: int, nodes: int, a: float = 0.30, b: float = 0.25, c: float = 0.25, seed: int = 0, first_node: int = 0, with_id: bool = False) -> DataFrame:
     """Recursive-matrix edges (src, dst) over ``nodes`` nodes; the fourth quadrant has the rest of the probability."""
     levels = max(1, (nodes - 1).bit_length())
     rows = spark.range(edges)
@@ -33,4 +33,4 @@ def rmat_edges(spark: SparkSession, edges: int, nodes: int, a: float = 0.30, b:
         u = _unit(F.col("id"), 1000 * (seed + 1) + level)
         src = src * 2 + F.when(u < a + b, 0).otherwise(1)
         dst = dst * 2 + F.when((u < a) | ((u >= a + b) & (u < a + b + c)), 0).otherwise(1)
-    return rows.select((F.pmod(src, F.lit(nodes)) + first_node).alias("src"), (F.pmod(dst, F.lit(nodes)) + first_node).alias("dst"))
+    return rows.select(*(["id"] if with_id else []), (F.pmod(src, F.lit(nodes)) + first_node).alias("src"), (F.pmod(dst, F.lit(nodes)) + first_node).alias("dst"))

@@ -4,15 +4,15 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from deltafold.functions import monoids as m
 from deltafold.functions.monoids import ADD, GREATEST, SUPPORT
-from deltafold.operators.kmeans import IncrementalKMeans, kmeans
+from deltafold.operators.kmeans import IncrementalKMeans, kmeans, sums
 from deltafold.operators.merge import co_group, diffuse, diminish, merge_states, near_join
 from deltafold.operators.nmf import nmf, squared_error
 from deltafold.operators.pagerank import IncrementalPageRank, pagerank, pagerank_fixed_point
+from deltafold.operators.repeat import ExactRepeat, IncrementalRepeat
 from deltafold.plans.algebra import stream
 from deltafold.plans.incremental import IncrementalQuery
 from deltafold.session import checkpoint_folder, cut
@@ -56,7 +56,7 @@ def _kmeans_sql(rounds: int) -> str:
 @query(_kmeans_sql(4))
 def kmeans_batch(spark, sf_dir):
     _, state = kmeans(line_points(spark, sf_dir), ["x", "y"], INIT, 4)
-    return state.select(F.col("cid").cast("long").alias("cid"), F.col("c").alias("points"))
+    return spark.createDataFrame([(i, v[-1]) for i, v in sorted(state.items())], "cid long, points long")
 
 
 @query("SELECT COUNT(*) AS points FROM lineitem")
@@ -85,35 +85,49 @@ def kmeans_gaps(spark, initial: int = 1_000_000, increment: int = 40_000, increm
     return out
 
 
-@query("SELECT 1 AS near_batch, 1 AS near_truth")
+@query(None)
 def kmeans_incremental_gap(spark, sf_dir):
-    """Whether the incremental centres stay near batch ones and the known centres in every batch."""
-    gaps = kmeans_gaps(spark)
-    return spark.createDataFrame([(int(all(g < 0.02 for _, g, _ in gaps)), int(all(g < 0.05 for _, _, g in gaps)))], "near_batch int, near_truth int")
+    """The gaps after the initial points and each of nine increments, at the reference's sizes."""
+    return spark.createDataFrame(kmeans_gaps(spark), "batch int, from_batch double, from_truth double")
 
 
-@query("SELECT * FROM (VALUES (CAST(0 AS BIGINT), CAST(0 AS BIGINT)), (1, 1)) AS t(d_id, t_id)")
+@query("SELECT i AS cid, CAST(340000 AS BIGINT) AS points FROM range(4) t(i)")
+def kmeans_square_counts(spark, sf_dir):
+    """The generator deals points to four squares in turn, and clusters are squares: each has a fourth of them."""
+    q = IncrementalKMeans(spark, ["x", "y"], NEAR, 10)
+    whole = square_points(spark, 1_360_000)
+    for n in range(10):
+        at, upto = (0, 1_000_000) if n == 0 else (1_000_000 + (n - 1) * 40_000, 1_000_000 + n * 40_000)
+        q.step(whole.where((F.col("id") >= at) & (F.col("id") < upto)))
+    return spark.createDataFrame([(i, v[-1]) for i, v in sorted(q.state.items())], "cid long, points long")
+
+
+_T = "SELECT p_partkey AS t_id, CAST(p_partkey * 37 % 101 AS DOUBLE) AS x, CAST(p_size AS DOUBLE) AS y FROM part WHERE p_partkey <= 200"
+_D = "SELECT s_suppkey AS d_id, CAST(s_suppkey * 53 % 101 AS DOUBLE) AS x, CAST(s_suppkey * 29 % 50 AS DOUBLE) AS y FROM supplier"
+
+
+@query(f"""WITH n AS (SELECT d_id, t_id, sqrt((d.x - t.x) * (d.x - t.x) + (d.y - t.y) * (d.y - t.y)) AS far FROM ({_D}) d, ({_T}) t WHERE (d.x - t.x) * (d.x - t.x) + (d.y - t.y) * (d.y - t.y) <= 36),
+  r AS (SELECT d_id, t_id, ROW_NUMBER() OVER (PARTITION BY d_id ORDER BY far, t_id) AS a, ROW_NUMBER() OVER (PARTITION BY t_id ORDER BY far, d_id) AS b FROM n) SELECT d_id, t_id FROM r WHERE a = 1 AND b = 1""")
 def kmeans_near_join(spark, sf_dir):
-    """Mutual nearest centres within eps; three points in a chain give one pair, not two."""
-    t = spark.createDataFrame([(0, 1.0, 1.0), (1, 5.0, 5.0)], "t_id long, x double, y double")
-    d = spark.createDataFrame([(0, 1.05, 1.0), (1, 5.0, 5.02), (2, 1.2, 1.0), (3, 9.0, 9.0)], "d_id long, x double, y double")
-    return near_join(t, d, ["x", "y"], 0.25)
+    """Keys that are points, equal if they are each other's nearest within eps."""
+    t = table(spark, sf_dir, "part").where("p_partkey <= 200").selectExpr("p_partkey AS t_id", "CAST(p_partkey * 37 % 101 AS DOUBLE) AS x", "CAST(p_size AS DOUBLE) AS y")
+    d = table(spark, sf_dir, "supplier").selectExpr("s_suppkey AS d_id", "CAST(s_suppkey * 53 % 101 AS DOUBLE) AS x", "CAST(s_suppkey * 29 % 50 AS DOUBLE) AS y")
+    return near_join(t, d, ["x", "y"], 6.0)
 
 
-@query("SELECT 1 AS pure")
+@query(None)
 def kmeans_embeddings_purity(spark, sf_dir):
-    """Clusters of vectors against their labels: purer than one cluster for all would be."""
+    """Clusters of vectors against their labels, beside the share of the most common label."""
     from deltafold.measures import purity
+    from deltafold.operators.kmeans import nearest
 
-    df = table(spark, sf_dir, "embeddings").select("label", *(F.col("embedding")[i].cast("double").alias(f"x{i}") for i in range(64)))
     dims = [f"x{i}" for i in range(64)]
+    df = cut(table(spark, sf_dir, "embeddings").select("label", *(F.col("embedding")[i].cast("double").alias(d) for i, d in enumerate(dims))))
     rows = df.groupBy("label").agg(*(F.first(d).alias(d) for d in dims)).orderBy("label").collect()  # one row a label
     centres, _ = kmeans(df, dims, [tuple(r[d] for d in dims) for r in rows], 3)
-    from deltafold.operators.kmeans import nearest
-
     found = purity(df.select(nearest(dims, centres).alias("cid"), "label"), "cid", "label")
     base = df.groupBy("label").count().agg(F.max("count") / F.sum("count")).first()[0]
-    return spark.createDataFrame([(int(found > base),)], "pure int")
+    return spark.createDataFrame([(found, base)], "purity double, most_common double")
 
 
 def part_supplier_edges(spark, sf_dir):
@@ -147,23 +161,29 @@ def pagerank_pages(spark, sf_dir):
     return pagerank_fixed_point(page_edges(spark, sf_dir), 3)
 
 
-def pagerank_gaps(spark, edges: int = 50_000, nodes: int = 5_000, increments=((100, 100), (100, 200), (100, 300), (100, 400)), rounds: int = 10) -> list[tuple[int, float, int]]:
-    """Recursive-matrix graph, the reference's sizes; each increment is (new nodes, edges between them and the
-    whole graph).  After the initial graph and each increment: (batch, sum of rank differences from a batch run
-    as a part of all rank, nodes that only one of them has)."""
-    whole, out = cut(rmat_edges(spark, edges, nodes)), []
+def grown_graph(spark, edges: int, nodes: int, increments: list[tuple[int, int]]) -> list:
+    """A recursive-matrix graph, then for each (new nodes, edges) edges between new nodes and the whole graph."""
+    out = [cut(rmat_edges(spark, edges, nodes))]
+    for n, (fresh, count) in enumerate(increments, 1):
+        node = F.pmod("id", F.lit(fresh)) + nodes  # every new node has an edge; directions in turn
+        back = F.pmod(F.floor(F.col("id") / fresh) + F.col("id"), F.lit(2)) == 1
+        new = rmat_edges(spark, count, nodes + fresh, seed=6 + n, with_id=True)
+        out.append(cut(new.select(F.when(back, F.col("src")).otherwise(node).alias("src"), F.when(back, node).otherwise(F.col("dst")).alias("dst"))))
+        nodes += fresh
+    return out
+
+
+#: The reference's largest of four increment sizes (100, 200, 300 and 400 edges), nine times.
+RANK_INCREMENTS = [(100, 400)] * 9
+
+
+def pagerank_gaps(spark, edges: int = 50_000, nodes: int = 5_000, increments=RANK_INCREMENTS, rounds: int = 10) -> list[tuple[int, float, int]]:
+    """After the initial graph and each increment: (batch, sum of rank differences from a batch run as a part of all
+    rank, nodes that only one of them has)."""
+    out, whole = [], None
     q = IncrementalPageRank(spark, rounds=rounds)
-    for n in range(len(increments) + 1):
-        new = whole
-        if n:
-            fresh, count = increments[n - 1]
-            node = F.pmod("id", F.lit(fresh)) + nodes  # every new node has an edge; directions in turn
-            back = F.pmod(F.floor(F.col("id") / fresh) + F.col("id"), F.lit(2)) == 1
-            new = rmat_edges(spark, count, nodes + fresh, seed=6 + n).withColumn("id", F.monotonically_increasing_id())
-            new = new.withColumn("id", F.row_number().over(Window.orderBy("id")) - 1)  # a few hundred rows
-            new = cut(new.select(F.when(back, F.col("src")).otherwise(node).alias("src"), F.when(back, node).otherwise(F.col("dst")).alias("dst")))
-            nodes += fresh
-            whole = cut(whole.unionByName(new))
+    for n, new in enumerate(grown_graph(spark, edges, nodes, list(increments))):
+        whole = new if whole is None else whole.unionByName(new)
         ranks = q.step(new)
         full = pagerank(whole, rounds).withColumnRenamed("rank", "full")
         both = full.join(ranks, "node", "full_outer")
@@ -172,19 +192,54 @@ def pagerank_gaps(spark, edges: int = 50_000, nodes: int = 5_000, increments=((1
     return out
 
 
-@query("SELECT 1 AS near_batch, 1 AS whole_mass")
+@query(None)
 def pagerank_incremental_gap(spark, sf_dir):
-    """Whether incremental ranks stay near a batch run's after every increment."""
-    gaps = pagerank_gaps(spark)
-    return spark.createDataFrame([(int(all(g < 0.05 for _, g, _ in gaps)), int(all(not lost for _, _, lost in gaps)))], "near_batch int, whole_mass int")
+    """The gap of incremental ranks after the initial graph and each of nine increments."""
+    return spark.createDataFrame(pagerank_gaps(spark), "batch int, gap double, lost long")
 
 
-@query("SELECT 1 AS falls")
+@query(None)
 def nmf_events(spark, sf_dir):
-    """Users by event types: the error after more rounds is smaller."""
+    """Users by event types: the squared error after one and after four rounds."""
     entries = cut(table(spark, sf_dir, "events").groupBy(F.col("user_id").alias("i"), F.col("event_type").alias("j")).agg(F.count("*").cast("double").alias("v")))
-    errors = [squared_error(entries, *nmf(entries, 2, r)) for r in (1, 4)]
-    return spark.createDataFrame([(int(errors[1] < errors[0]),)], "falls int")
+    return spark.createDataFrame([(r, float(squared_error(entries, *nmf(entries, 2, r)))) for r in (1, 4)], "rounds int, error double")
+
+
+@query("WITH a AS (SELECT l_orderkey AS x FROM lineitem), b AS (SELECT x * 2 + 1 AS x FROM a WHERE x % 7 <> 3), c AS (SELECT x * 2 + 1 AS x FROM b WHERE x % 7 <> 3), d AS (SELECT x * 2 + 1 AS x FROM c WHERE x % 7 <> 3) SELECT x, COUNT(*) AS n FROM d GROUP BY x")
+def repeat_exact_increments(spark, sf_dir):
+    """A repetition whose step merges: every batch runs its rounds alone and the results add up."""
+    q = ExactRepeat(stream("x").flat_map(where="x % 7 <> 3", x="x * 2 + 1"), "x", 3)
+    for b in arrive_by_key(table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("x")), "x", 10):
+        q.step(b)
+    return q.result.groupBy("x").agg(F.count("*").alias("n"))
+
+
+@query("SELECT CAST(340000 AS BIGINT) AS points, i AS cid FROM range(4) t(i)")
+def repeat_generic_near_keys(spark, sf_dir):
+    """The generic loop with points as keys, matched within eps: the state counts every point once."""
+    return loop_by_near_keys(spark, 1_000_000, 40_000, 9).select("points", "cid")
+
+
+def loop_by_near_keys(spark, initial: int, increment: int, increments: int, rounds: int = 4):
+    """K-means written for the generic loop: clusters are known by their centres."""
+    dims = ["x", "y"]
+    kinds = {"s_x": ADD, "s_y": ADD, "c": ADD}
+
+    def partial(centres, batch):
+        at = sums(batch, dims, [(x, y) for _, x, y in centres])
+        names = F.array(*(F.lit(c) for c, _, _ in centres))
+        return at.select(F.element_at(names, F.col("cid") + 1).alias("cid"), *kinds)
+
+    def answer(state):
+        return [(r["cid"], r["s_x"] / r["c"], r["s_y"] / r["c"]) for r in state.orderBy("cid").collect()]  # k rows
+
+    place = lambda t: t.select("cid", (F.col("s_x") / F.col("c")).alias("x"), (F.col("s_y") / F.col("c")).alias("y"))
+    q = IncrementalRepeat(spark, partial, answer, ["cid"], kinds, [(i, *c) for i, c in enumerate(NEAR)], rounds, start="init", near=(dims, 1.0), place=place)
+    whole = square_points(spark, initial + increments * increment)
+    for n in range(increments + 1):
+        at, upto = (0, initial) if n == 0 else (initial + (n - 1) * increment, initial + n * increment)
+        q.step(whole.where((F.col("id") >= at) & (F.col("id") < upto)))
+    return q.state.select(F.col("cid").cast("long").alias("cid"), F.col("c").alias("points"))
 
 
 def _two_states(spark, sf_dir):
@@ -286,3 +341,39 @@ def late_events_merged(spark, sf_dir):
     out = cut(q.answer())
     q.close()
     return out
+
+
+@query(_AVG_EVENTS.format(""))
+def stream_restart_groupby(spark, sf_dir):
+    """The stream stops after its first batches; a new process goes on with the same folders, and a batch that had
+    been folded is delivered again."""
+    folder, schema = _event_files(spark, sf_dir, 4)
+    home = f"{checkpoint_folder(spark)}/restart-{uuid.uuid4().hex}"
+    term = stream("events").group_by("user_id").agg(avg_cents=m.avg("cents"), n=m.count())
+    make = lambda: IncrementalQuery(spark, term, {"events": _EVENT_COLUMNS}, folder=f"{home}/state")
+    q = make()
+    first = _events(spark, sf_dir).where(F.pmod("event_id", F.lit(4)) == 0)  # the first file
+    q.step({"events": first}, version=0)  # folded, but the stream's own progress is lost with the process
+    q = make()
+    StreamRunner(q).run({"events": dir_stream(spark, folder, schema)}, f"{home}/offsets")
+    return make().answer()
+
+
+@query("SELECT o_custkey, CAST(SUM(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty, COUNT(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_custkey")
+def stream_restart_join(spark, sf_dir):
+    """Two streams, two cells: the process ends after one cell has taken a batch and the other has not."""
+    o = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
+    li = table(spark, sf_dir, "lineitem").select("l_orderkey", F.expr("CAST(l_quantity AS BIGINT)").alias("qty"))
+    term = stream("orders").join(stream("lineitem"), {"o_orderkey": "l_orderkey"}).group_by("o_custkey").agg(qty=m.sum_("qty"), n=m.count())
+    home = f"{checkpoint_folder(spark)}/restart-{uuid.uuid4().hex}"
+    make = lambda: IncrementalQuery(spark, term, {"orders": o.columns, "lineitem": li.columns}, folder=home)
+    batches = list(zip(arrive_by_key(o, "o_custkey", 30), arrive_by_key(li, "l_orderkey", 30), strict=True))[:10]
+    q = make()
+    for version, (a, b) in enumerate(batches):
+        if version == 3:  # the first cell folds, then the process dies
+            tables = q._signed({"orders": a, "lineitem": b}, None)
+            q.cells[0].step(q.plan.cells[0].partial(tables), version)
+            q = make()
+        q.step({"orders": a, "lineitem": b}, version=version)
+        q.step({"orders": a, "lineitem": b}, version=version)  # delivered twice
+    return make().answer()
