@@ -37,19 +37,47 @@ def speedup(incremental: list[float], whole: list[float]) -> float:
     return ratios[len(ratios) // 2]
 
 
+def shuffle_bytes(spark: SparkSession) -> int:
+    """Bytes that all executors have written to shuffles since the session began."""
+    executors = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(executors.apply(i).totalShuffleWrite() for i in range(executors.size()))
+
+
+def state_bytes(q: IncrementalQuery) -> int:
+    """Catalyst's estimate of the size of all cells' states."""
+    return sum(int(c.backend.read()._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) for c in q.cells)
+
+
 def compare(spark: SparkSession, query: Term, batches: list[dict[str, DataFrame]], schemas: dict[str, list[str]], static=None, **options) -> dict:
-    """Seconds of every batch, incremental and recomputed on all rows so far, and rows that differ at the end."""
+    """Of every batch: seconds and shuffled bytes, incremental and recomputed on all rows so far; rows that differ at
+    the end, and the state's rows, answer rows and bytes."""
     q = IncrementalQuery(spark, query, schemas, static, **options)
-    folded, whole, so_far = [], [], {}
-    for b in batches:
-        folded.append(timed(lambda b=b: (q.step(b), q.answer().write.format("noop").mode("overwrite").save())))
+    rows, so_far = [], {}
+    sink = lambda df: df.write.format("noop").mode("overwrite").save()
+    for n, b in enumerate(batches):
+        before = shuffle_bytes(spark)
+        fold = timed(lambda b=b: q.step(b))
+        answer = timed(lambda: sink(q.answer()))
+        between = shuffle_bytes(spark)
         so_far = {n: df if n not in so_far else so_far[n].unionByName(df) for n, df in b.items()}
-        whole.append(timed(lambda: recompute(query, {**(static or {}), **so_far}).write.format("noop").mode("overwrite").save()))
-    out = {"incremental": folded, "recompute": whole, "speedup": speedup(folded[1:], whole[1:]), "drift": drift(folded[1:]), "differing_rows": diff_count(q.answer(), recompute(query, {**(static or {}), **so_far})), "state_rows": q.state_stats()}
+        whole = timed(lambda: sink(recompute(query, {**(static or {}), **so_far})))
+        rows.append({"batch": n, "fold": fold, "answer": answer, "incremental": fold + answer, "recompute": whole, "shuffled": between - before, "shuffled_recompute": shuffle_bytes(spark) - between})
+    folded, whole = [r["incremental"] for r in rows], [r["recompute"] for r in rows]
+    last = recompute(query, {**(static or {}), **so_far})
+    out = {"batches": rows, "incremental": folded, "recompute": whole, "speedup": speedup(folded[1:], whole[1:]), "drift": drift(folded[1:]), "differing_rows": diff_count(q.answer(), last), "state_rows": q.state_stats(), "answer_rows": last.count(), "state_bytes": state_bytes(q)}
     q.close()
     return out
 
 
+def sweep(run: Callable[[int], dict], sizes: list[int]) -> list[dict]:
+    """One run from an empty state for each increment size: seconds of each batch, speed-up and drift."""
+    out = []
+    for size in sizes:
+        r = run(size)
+        out.append({"increment": size, **{k: r[k] for k in ("incremental", "recompute", "speedup", "drift", "differing_rows") if k in r}})
+    return out
+
+
 def persisted(spark: SparkSession) -> int:
     """Frames and tables held in executors now (for leaks over batches)."""
     return spark.sparkContext._jsc.getPersistentRDDs().size()
