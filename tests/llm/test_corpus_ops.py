@@ -503,3 +503,89 @@ def test_language_declared_after_a_long_comment(spark):
     pages = [(i, "http://a.example.com/", page) for i in range(3)]
     got = language_fusion.identify(spark.createDataFrame(pages, "page_id long, url string, html string"), ["en", "fr"], np.zeros((language_fusion.BINS, 2))).collect()
     assert [r.declared for r in got] == ["fr"] * 3
+
+
+def _plain_statistics(text):
+    t = text or ""
+    w = [x for x in re.split(r"[\x20\x09-\x0D]+", t) if x]
+    n, m = max(len(t), 1), max(len(w), 1)
+    share = lambda chars: sum(c in chars for c in t) / n
+    return {
+        "length": np.log1p(len(t)), "words": np.log1p(len(w)), "word_length": len(t) / m, "distinct": len(set(w)) / m, "repeated": sum(a == b for a, b in itertools.pairwise(w)) / m,
+        "long_words": sum(len(x) >= 16 for x in w) / m, "short_words": sum(len(x) <= 2 for x in w) / m, "upper": share(quality_rules._UPPER), "digits": share("0123456789"), "marks": share("#$%&*@^~+=<>"),
+        "bars": share("|/\\_"), "calls": share("!?"), "stops": share("."), "commas": share(",;:"), "brackets": share("()[]{}\"'"), "line_length": np.log1p(n / (t.count("\n") + 1)),
+    }
+
+
+def test_compiled_rules_equal_the_rules_by_hand(docs):
+    stats = {d: _plain_statistics(t) for d, t in enumerate(TEXTS)}
+    staged = quality_rules.with_statistics(docs, [F.col("doc_id"), F.col("score")])
+    found = staged.columns[-1]
+    for r in staged.collect():
+        for s, v in stats[r.doc_id].items():
+            assert abs(r[found][s] - v) < 1e-9, (r.doc_id, s)
+    rng = np.random.default_rng(11)
+    names = sorted(stats[0])
+    cut = lambda s: float(np.median([x[s] for x in stats.values()]))
+    rules = tuple(quality_rules.Rule(tuple((s, cut(s), bool(rng.integers(2))) for s in rng.choice(names, 2, replace=False))) for _ in range(12))
+    model = quality_rules.RuleEnsemble(rules, tuple(float(x) for x in rng.normal(size=12)), 0.3)
+    got = {r.doc_id: r.mine for r in quality_rules.scored(docs, model, [F.col("doc_id"), F.col("score")], name="mine").collect()}
+    for d, x in stats.items():
+        z = 0.3 + sum(w for r, w in zip(rules, model.weights, strict=True) if all((x[s] > t) == above for s, t, above in r.bounds))
+        assert abs(got[d] - 1 / (1 + np.exp(-z))) < 1e-9
+
+
+def test_lasso_meets_its_conditions():
+    rng = np.random.default_rng(12)
+    z = rng.integers(0, 2, (400, 15)).astype(float)
+    y = (rng.random(400) < 1 / (1 + np.exp(-(2 * z[:, 0] - 1.5 * z[:, 1])))).astype(float)
+    w, b = quality_rules.lasso(z, y, penalty=0.02, rounds=3000)
+    slope = z.T @ (1 / (1 + np.exp(-(z @ w + b))) - y) / len(y)
+    assert np.all(np.abs(slope[w == 0]) <= 0.02 + 1e-5) and np.allclose(slope[w != 0], -0.02 * np.sign(w[w != 0]), atol=1e-5)
+    assert w[0] > 0 > w[1] and (w == 0).sum() >= 5
+
+
+def test_language_posteriors_equal_the_formula_by_hand(spark):
+    rng = np.random.default_rng(13)
+    langs, table = ["de", "en", "fr"], np.log(rng.dirichlet(np.ones(language_fusion.BINS), 3).T)
+    hosts = ["a.x.com", "b.x.com", "c.y.org"]
+    pages = [(i, f"https://{hosts[i % 3]}/{langs[i % 3]}/p", f"<html lang='{langs[(i + i // 7) % 3]}'>{' '.join('w' + str(x) * 3 + 'abc' for x in rng.integers(0, 9, 6))}</html>" if i % 5 else "") for i in range(30)] + [(30, None, None)]
+    got = {r.page_id: r for r in language_fusion.identify(spark.createDataFrame(pages, "page_id long, url string, html string"), langs, table).collect()}
+    rows = []
+    for _, url, page in pages:
+        grams = language_fusion.trigrams(language_fusion.visible_text(page or ""))
+        like = table[grams].sum(0) * language_fusion.TEMPER if len(grams) else np.zeros(3)
+        like -= like.max()
+        m = re.match(r"https://([^/]+)/([a-z]{2})", url or "")
+        d = re.search("<html lang='(..)'", page or "")
+        host = m[1] if m else ""
+        rows.append((like, np.exp(like) / np.exp(like).sum(), host, ".".join(host.split(".")[-2:]), m[2] if m else "", d[1] if d else ""))
+    total, n, lean = sum(r[1] for r in rows), len(rows), language_fusion.LEAN
+    share = (total + 1) / (n + 3)
+    soft = lambda place, value: (sum(r[1] for r in rows if r[place] == value), sum(r[place] == value for r in rows))
+    for key, (like, _, host, domain, suffix, said) in enumerate(rows):
+        c, k = soft(3, domain)
+        of_domain = (c + lean * share) / (k + lean)
+        c, k = soft(2, host)
+        s = like + np.log((c + lean * of_domain) / (k + lean))
+        for place, value in ((5, said), (4, suffix)):
+            c, k = soft(place, value)
+            s = s + np.log((c + lean * k / n) / (total + lean))
+        assert got[key].lang == langs[int(np.argmax(s))] and abs(got[key].posterior - 1 / np.exp(s - s.max()).sum()) < 1e-9
+
+
+def test_rows_that_repeat_null_ids_and_clashing_columns(spark):
+    text = 'same words here token = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff" end ' + "é" * 70
+    rows = [(1, text), (1, text), (None, text), (None, None), (2, "")]
+    df = spark.createDataFrame([(i, t, "a", 1, 2, 3.0, "b", "c", True) for i, t in rows], "doc_id long, text string, __text string, __part int, __key int, score double, __words string, __stats string, __at_end boolean")
+    assert secret_crf.redacted_documents(df).columns == df.columns and secret_crf.redacted_documents(df).where("text like '%24be%'").count() == 0
+    assert [r.n_hex for r in secret_crf.secret_spans(df).where("doc_id = 1").collect()] == [1, 1]
+    spans = radix_suffixes.repeated_byte_spans(df).collect()
+    assert len(spans) == 5 and sorted(str((r.doc_id, r.n_removed)) for r in spans) == sorted(map(str, [(1, 0), (1, 0), (None, len(text.encode())), (None, 0), (2, 0)]))
+    assert len(prefix_bpe.encoded_documents(df, public_tokenizers.path("byte_bpe_50k.json")).collect()) == 5
+    packed = bestfit_packing.packed_documents(df, public_tokenizers.path("word_bpe_49k.json")).collect()
+    assert len(packed) == 5 and sorted(r.length for r in packed)[:2] == [1, 1]
+    kept = content_sort.keep_first_copies(df)
+    assert kept.columns == df.columns and kept.count() == 2
+    assert quality_rules.scored(df, quality_rules.RuleEnsemble((), (), 0.0), [F.col(c) for c in df.columns], name="mine").columns == [*df.columns, "mine"]
+    assert jaccard_join.keep_first_of_classes(df).columns == df.columns
