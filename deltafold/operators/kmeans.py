@@ -16,6 +16,9 @@ def nearest(dims: list[str], centres: Centres) -> Column:
     """The number of the nearest centre as a column expression (ties: the lowest).  Centres are few and known
     when the plan is made, so there is no join."""
     far = lambda c: reduce(lambda a, b: a + b, [(F.col(d).cast("double") - F.lit(float(x))) * (F.col(d).cast("double") - F.lit(float(x))) for d, x in zip(dims, c, strict=True)])
+    if len(dims) > 8:  # a sum over arrays: written out, so many terms are more code than a method may have
+        point = F.array(*(F.col(d).cast("double") for d in dims))
+        far = lambda c: F.aggregate(F.zip_with(point, F.array(*(F.lit(float(x)) for x in c)), lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, x: s + x)
     if len(centres) == 1:
         return F.lit(0)
     return F.least(*(F.struct(far(c).alias("d"), F.lit(i).alias("i")) for i, c in enumerate(centres)))["i"]

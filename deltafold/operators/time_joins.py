@@ -24,3 +24,10 @@ def asof_join(left: DataFrame, right: DataFrame, key: str, ts: str, value: str)
     w = Window.partitionBy(key).orderBy(ts, "__side", value).rowsBetween(Window.unboundedPreceding, 0)
     both = a.unionByName(b).withColumn("__value", F.last(value, ignorenulls=True).over(w)).where("__side = 1")
     return both.select(key, ts, "__row.*", F.col("__value").alias(value))
+
+
+def sliding_distinct(events: DataFrame, ts: str, value: str, width: str, slide: str, error: float = 0.05) -> DataFrame:
+    """The approximate baseline: distinct values in each sliding window by a sketch of given relative error, with
+    nothing kept from window to window: (start, distinct)."""
+    windows = events.groupBy(F.window(ts, width, slide)["start"].alias("start"))
+    return windows.agg(F.approx_count_distinct(value, error).alias("distinct"))

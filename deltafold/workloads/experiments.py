@@ -38,6 +38,17 @@ def join_group_by(spark: SparkSession, increment: int, initial: int = 100_000) -
     return compare(spark, stream("l").join(stream("r"), {"b": "c"}).group_by("a").agg(mean=m.avg("d"), n=m.count()), batches, {"l": ["a", "b"], "r": ["c", "d"]})
 
 
+def pairs_found(spark: SparkSession, initial: int = 100_000, increment: int = 10_000) -> tuple[int, int]:
+    """Join pairs of ``join_group_by``'s input that come together in one batch, and all pairs."""
+    a = cut(random_pairs(spark, initial + INCREMENTS * increment, seed=1)).selectExpr("id", "y AS b")
+    b = cut(random_pairs(spark, initial + INCREMENTS * increment, seed=2)).selectExpr("id", "x AS c")
+    batch = f"IF(id < {initial}, 0, 1 + (id - {initial}) div {increment})"
+    count = lambda df, *keys: df.groupBy(*keys).count()
+    left, right = count(a.selectExpr("b AS k", f"{batch} AS n"), "k", "n"), count(b.selectExpr("c AS k", f"{batch} AS n"), "k", "n")
+    pairs = lambda on: left.alias("l").join(right.alias("r"), on).selectExpr("sum(l.count * r.count)").first()[0]
+    return pairs(["k", "n"]), pairs(["k"])
+
+
 def clusters(spark: SparkSession, increment: int, initial: int = 1_000_000, rounds: int = 10) -> dict:
     """K-means in four squares."""
     whole = cut(square_points(spark, initial + INCREMENTS * increment))
@@ -74,4 +85,4 @@ def backends(spark: SparkSession, increment: int = 10_000, initial: int = 200_00
     return {b: compare(spark, query, batches, {"s": ["x", "y"]}, backend=b) for b in ("memory", "layered", "bucketed", "keyed")}
 
 
-__all__ = ["backends", "clusters", "evaluation", "group_by", "join_group_by", "ranks"]
+__all__ = ["backends", "clusters", "evaluation", "group_by", "join_group_by", "pairs_found", "ranks"]

@@ -13,6 +13,7 @@ from deltafold.operators.merge import co_group, diffuse, diminish, merge_states,
 from deltafold.operators.nmf import nmf, squared_error
 from deltafold.operators.pagerank import IncrementalPageRank, pagerank, pagerank_fixed_point
 from deltafold.operators.repeat import ExactRepeat, IncrementalRepeat
+from deltafold.operators.time_joins import sliding_distinct
 from deltafold.plans.algebra import stream
 from deltafold.plans.incremental import IncrementalQuery
 from deltafold.session import checkpoint_folder, cut
@@ -377,3 +378,20 @@ def stream_restart_join(spark, sf_dir):
         q.step({"orders": a, "lineitem": b}, version=version)
         q.step({"orders": a, "lineitem": b}, version=version)  # delivered twice
     return make().answer()
+
+
+@query(None)
+def sliding_distinct_users(spark, sf_dir):
+    """The approximate baseline beside exact counts of users in sliding days."""
+    e = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    exact = e.groupBy(F.window("ts", "1 day", "6 hours")["start"].alias("start")).agg(F.count_distinct("user_id").alias("exact"))
+    return sliding_distinct(e, "ts", "user_id", "1 day", "6 hours").join(exact, "start").select(F.unix_micros("start").alias("start"), "distinct", "exact")
+
+
+@query(None)
+def join_mn_random_pairs(spark, sf_dir):
+    """The reference's join of random pairs has several partners on both sides: pairs that merging batch by batch
+    finds, beside all pairs."""
+    from deltafold.workloads.experiments import pairs_found
+
+    return spark.createDataFrame([pairs_found(spark)], "batchwise long, exact long")

@@ -464,3 +464,49 @@ def test_exact_repetition_adds_up(spark):
     assert rows(q.result) == sorted((x + 2,) for x in range(20) if x % 3 and (x + 1) % 3) or rows(q.result) == sorted(((x + 2,) for x in range(20) if x % 3 and (x + 1) % 3), key=repr)
     with pytest.raises(Unsupported):
         ExactRepeat(stream("x").agg(n=m.count()), "x", 2)
+
+
+def test_two_directories_join_in_one_stream(spark, tmp_path):
+    l, r = str(tmp_path / "l"), str(tmp_path / "r")
+    put = lambda df, to: df.coalesce(1).write.mode("append").parquet(to)
+    parts = [(left(spark, [("a", i)]), right(spark, [(i + 1, i)])) for i in range(3)]
+    for x, y in parts:
+        put(x, l)
+        put(y, r)
+    q = IncrementalQuery(spark, JOIN, SCHEMAS, folder=str(tmp_path / "state"))
+    StreamRunner(q).run({"l": dir_stream(spark, l, "a string, b long"), "r": dir_stream(spark, r, "c long, d long")}, str(tmp_path / "offsets"))
+    assert rows(q.answer()) == [("a", 1, 2)]
+
+
+def test_lines_of_a_socket_are_parsed(spark):
+    import socket
+    import threading
+
+    from deltafold.streaming.runner import socket_stream
+
+    server = socket.create_server(("127.0.0.1", 0))
+
+    def serve():
+        client, _ = server.accept()
+        client.sendall(b'{"a": "x", "b": 1}\n{"a": "y", "b": 2}\n')
+        threading.Event().wait(20)
+        client.close()
+
+    threading.Thread(target=serve, daemon=True).start()
+    got = []
+    run = socket_stream(spark, "127.0.0.1", server.getsockname()[1], "a string, b long").writeStream.foreachBatch(lambda df, i: got.extend(map(tuple, df.collect()))).start()
+    for _ in range(40):
+        run.processAllAvailable()
+        if len(got) == 2:
+            break
+        threading.Event().wait(0.25)
+    run.stop()
+    server.close()
+    assert sorted(got) == [("x", 1), ("y", 2)]
+
+
+def test_random_pairs_of_the_reference_lose_matches_batch_by_batch(spark):
+    from deltafold.workloads.experiments import pairs_found
+
+    some, whole = pairs_found(spark, 2000, 200)
+    assert 0 < some < whole / 2
