@@ -252,6 +252,7 @@ def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_
     links = cut(_verified(pairs, bags, percent).select("a", "b"))
     central = nodes.select("node", "central")
     entries = _mixed(prefixes, components(links))
+    release(docs.sparkSession)  # each step leaves files of many small shuffles behind
     for turn in range(LEADER_ROUNDS):
         by = F.col("central").cast("long") if turn == 0 else F.xxhash64("label", F.lit(turn))
         left = F.col("n") - F.col("before")
@@ -262,9 +263,12 @@ def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_
             break
         links = cut(links.unionByName(found))
         entries = _mixed(prefixes, components(links))
+        release(docs.sparkSession)
 
-    more = _verified(_candidates(elements, entries, percent), bags, percent).select("a", "b")
+    more = cut(_verified(_candidates(elements, entries, percent), bags, percent).select("a", "b"))
+    release(docs.sparkSession)
     labels = components(links.unionByName(more))
+    release(docs.sparkSession)
     members = rows.where("digest is not null").select("id", "digest").join(nodes.select("digest", "node"), "digest")
     classes = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     smallest = classes.groupBy("label").agg(F.min("id").alias("smallest"))
