@@ -36,13 +36,15 @@ TIMES = Kind("times", F.product)
 XOR = Kind("xor", F.bit_xor, invertible=True, undo=lambda a, b: a.bitwiseXOR(b))
 ANY = Kind("any", F.bool_or, idempotent=True)
 ALL = Kind("all", F.bool_and, idempotent=True)
+BIT_OR = Kind("bit_or", F.bit_or, idempotent=True)
+BIT_AND = Kind("bit_and", F.bit_and, idempotent=True)
 BAG = Kind("bag", lambda c: F.flatten(F.collect_list(c)))
 SKETCH = Kind("sketch", lambda c: F.hll_union_agg(c), idempotent=True)
 #: Equal in state and batch, or an error: the one side of a one-to-many join.
 SAME = Kind("same", lambda c: F.when(F.min(c) == F.max(c), F.min(c)).when(F.count(c) == 0, F.lit(None)).otherwise(F.raise_error(F.lit("invariant part differs between state and batch"))), idempotent=True)
 #: The newest value wins; values are structs that begin with a version.
 REPLACE = Kind("replace", F.max, idempotent=True)
-KINDS = {k.name: k for k in (ADD, LEAST, GREATEST, TIMES, XOR, ANY, ALL, BAG, SKETCH, SAME, REPLACE)}
+KINDS = {k.name: k for k in (ADD, LEAST, GREATEST, TIMES, XOR, ANY, ALL, BIT_OR, BIT_AND, BAG, SKETCH, SAME, REPLACE)}
 
 
 def _signed(value: Column) -> Column:
@@ -196,18 +198,24 @@ def bit_xor(x: str) -> Monoid:
 
 
 @_reading("x")
-def bits(x: str, want: str, width: int = 16) -> Monoid:
-    """bit_and or bit_or from counts of set bits, so rows can be deleted."""
-    parts = tuple((f"b{i}", ADD, lambda i=i: F.expr(f"(({x}) >> {i}) & 1").cast("long") * F.col(SIGN)) for i in range(width))
+def bits(x: str, want: str) -> Monoid:
+    """bit_and or bit_or of all 64 bits; with deletions, from counts of set bits."""
+    kind = {"and": BIT_AND, "or": BIT_OR}[want]
+    return Monoid(f"bit_{want}", (("v", kind, lambda: F.expr(f"CAST(({x}) AS BIGINT)")),), lambda p: p["v"], deletable_as=lambda: _bit_counts(x, want))
+
+
+def _bit_counts(x: str, want: str) -> Monoid:
+    bit = lambda i: F.coalesce(F.expr(f"(CAST(({x}) AS BIGINT) >> {i}) & 1"), F.lit(0)).cast("long")
+    parts = tuple((f"b{i}", ADD, lambda i=i: _signed(bit(i))) for i in range(64))
     full = lambda p, i: p[f"b{i}"] == p["n"] if want == "and" else p[f"b{i}"] > 0
 
     def finish(p):
         out = F.lit(0).cast("long")
-        for i in range(width):
-            out = out + F.when(full(p, i), F.lit(1 << i)).otherwise(F.lit(0))
-        return out
+        for i in range(64):
+            out = out.bitwiseOR(F.when(full(p, i), F.lit(1 << i if i < 63 else -(1 << 63))).otherwise(F.lit(0)).cast("long"))
+        return F.when(p["n"] > 0, out)
 
-    return Monoid(f"bit_{want}", (*parts, ("n", ADD, lambda: F.col(SIGN).cast("long"))), finish)
+    return Monoid(f"bit_{want}", (*parts, ("n", ADD, _present(x))), finish)
 
 
 @_reading("value", "order")
