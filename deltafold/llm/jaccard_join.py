@@ -40,7 +40,7 @@ from pyspark.sql import functions as F
 
 from deltafold.llm import _common as C
 from deltafold.llm._graph import components
-from deltafold.session import cut, release
+from deltafold.session import cut_and_free
 
 U64 = np.uint64
 WORDS, PERCENT = 5, 75
@@ -129,14 +129,14 @@ def _documents(docs: DataFrame, k: int, percent: int, id_col: str, text_col: str
     texts = C.by_chunk(docs, lay, id_col, text_col)
     sent = texts.groupBy("chunk").applyInArrow(_send(lay, k), C.PACKED)
     counts = C.exchange(sent, lay).groupBy("bucket").applyInArrow(C.tally, C.ANSWER)
-    return cut(texts.groupBy("chunk").cogroup(C.exchange(counts, lay, "chunk").groupBy("chunk")).applyInArrow(_rows(lay, k, percent), _ROW))
+    return cut_and_free(texts.groupBy("chunk").cogroup(C.exchange(counts, lay, "chunk").groupBy("chunk")).applyInArrow(_rows(lay, k, percent), _ROW))
 
 
 def _nodes(rows: DataFrame) -> DataFrame:
     """Documents with equal sets as one node, numbered."""
     keys = F.array(*(F.array_min(F.transform("shingles", lambda x, s=s: F.xxhash64(x, F.lit(s)))) for s in range(LEADER_KEYS)))
     sets = rows.where("shingles is not null").select("digest", "n", "central", "shingles").dropDuplicates(["digest"])
-    return cut(sets.select(F.monotonically_increasing_id().alias("node"), "digest", "n", "central", "shingles", keys.alias("looks")))
+    return cut_and_free(sets.select(F.monotonically_increasing_id().alias("node"), "digest", "n", "central", "shingles", keys.alias("looks")))
 
 
 def _elements(nodes: DataFrame) -> DataFrame:
@@ -153,7 +153,7 @@ def _elements(nodes: DataFrame) -> DataFrame:
     mine = Window.partitionBy("node")
     alone = F.col("n") - F.sum("w").over(mine)
     running = F.sum("w").over(mine.orderBy("c", "e").rowsBetween(Window.unboundedPreceding, -1))
-    return cut(parts.join(nodes.select("node", "n"), "node").withColumn("before", alone + F.coalesce(running, F.lit(0))))
+    return cut_and_free(parts.join(nodes.select("node", "n"), "node").withColumn("before", alone + F.coalesce(running, F.lit(0))))
 
 
 def _slack(percent: int):
@@ -204,7 +204,7 @@ def _cross(entries: DataFrame, *keys: str) -> DataFrame:
 
 def _candidates(elements: DataFrame, entries: DataFrame, percent: int) -> DataFrame:
     """Step 5.  ``entries``: prefix tokens (key, label, node, n, w, before) of keys with several labels."""
-    counted = cut(_cross(entries, "key"))
+    counted = cut_and_free(_cross(entries, "key"))
     many = counted.where(F.col("cross") > PAIRS_PER_NODE * F.col("m")).select("key", "cross")
     single = entries.withColumn("left", F.col("n") - F.col("before"))
     if many.isEmpty():
@@ -215,9 +215,9 @@ def _candidates(elements: DataFrame, entries: DataFrame, percent: int) -> DataFr
     two = two.select("one", F.xxhash64("one", "e").alias("key"), "label", "node", "n", (F.col("w1") + F.col("n") - F.col("b2")).alias("left"))
     # nothing more in common: enough if the token alone is
     alone = first.where(F.col("w1") >= F.ceil(F.col("n") * percent / 100)).select("one", F.xxhash64("one", F.lit("alone")).alias("key"), "label", "node", "n", F.col("w1").cast("long").alias("left"))
-    combined = cut(two.unionByName(alone))
+    combined = cut_and_free(two.unionByName(alone))
     cost = _cross(combined, "one", "key").groupBy("one").agg(F.sum("cross").alias("after"))
-    split = cut(many.join(cost, many["key"] == cost["one"], "left").where(F.coalesce("after", F.lit(0)) < F.col("cross")).select("key"))
+    split = cut_and_free(many.join(cost, many["key"] == cost["one"], "left").where(F.coalesce("after", F.lit(0)) < F.col("cross")).select("key"))
     pairs = _across(single.join(split, "key", "left_anti"), percent)
     return pairs.unionByName(_across(combined.join(split.withColumnRenamed("key", "one"), "one", "left_semi"), percent)).distinct()
 
@@ -225,50 +225,44 @@ def _candidates(elements: DataFrame, entries: DataFrame, percent: int) -> DataFr
 def _index(nodes: DataFrame, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Elements, nodes with their elements as one array, and prefix tokens."""
     elements = _elements(nodes)
-    bags = cut(elements.groupBy("node").agg(F.first("n").alias("n"), F.collect_list("e").alias("es")))
+    bags = cut_and_free(elements.groupBy("node").agg(F.first("n").alias("n"), F.collect_list("e").alias("es")))
     prefixes = elements.where(F.col("before") <= _slack(percent)).select("node", F.col("e").alias("key"), "n", "w", "before")
-    return elements, bags, cut(prefixes)
+    return elements, bags, cut_and_free(prefixes)
 
 
 def _mixed(prefixes: DataFrame, labels: DataFrame) -> DataFrame:
     """Prefix tokens with their nodes' labels, of keys with several labels."""
     found = prefixes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     several = found.groupBy("key").agg((F.min("label") < F.max("label")).alias("several")).where("several").select("key")
-    return cut(found.join(several, "key", "left_semi"))
+    return cut_and_free(found.join(several, "key", "left_semi"))
 
 
 def similar_classes(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """For each document: the size of its shingle set and the smallest id it is linked with, directly or not."""
     rows = _documents(docs, k, percent, id_col, text_col)
-    release(docs.sparkSession)
     nodes = _nodes(rows)
     elements, bags, prefixes = _index(nodes, percent)
-    release(docs.sparkSession)
 
     # leaders
     looks = nodes.select("node", "central", F.explode("looks").alias("key"))
     leaders = looks.groupBy("key").agg(F.max(F.struct("central", "node"))["node"].alias("a"), F.count("*").alias("c")).where("c > 1").select("key", "a")
     pairs = looks.join(leaders, "key").where("a <> node").select("a", F.col("node").alias("b")).distinct()
-    links = cut(_verified(pairs, bags, percent).select("a", "b"))
+    links = cut_and_free(_verified(pairs, bags, percent).select("a", "b"))
     central = nodes.select("node", "central")
     entries = _mixed(prefixes, components(links))
-    release(docs.sparkSession)  # each step leaves files of many small shuffles behind
     for turn in range(LEADER_ROUNDS):
         by = F.col("central").cast("long") if turn == 0 else F.xxhash64("label", F.lit(turn))
         left = F.col("n") - F.col("before")
         best = entries.join(central, "node").groupBy("key").agg(F.max(F.struct(by.alias("by"), "central", "node", "label", F.col("n").alias("na"), left.alias("ra"))).alias("top")).select("key", "top.node", "top.label", "top.na", "top.ra").toDF("key", "a", "la", "na", "ra")
         enough = F.lit(100 + percent) * F.least("ra", left) >= _overlap(F.col("na"), F.col("n"), percent)
-        found = cut(_verified(entries.join(best, "key").where((F.col("la") != F.col("label")) & enough).select("a", F.col("node").alias("b")).distinct(), bags, percent).select("a", "b"))
+        found = cut_and_free(_verified(entries.join(best, "key").where((F.col("la") != F.col("label")) & enough).select("a", F.col("node").alias("b")).distinct(), bags, percent).select("a", "b"))
         if found.isEmpty():
             break
-        links = cut(links.unionByName(found))
+        links = cut_and_free(links.unionByName(found))
         entries = _mixed(prefixes, components(links))
-        release(docs.sparkSession)
 
-    more = cut(_verified(_candidates(elements, entries, percent), bags, percent).select("a", "b"))
-    release(docs.sparkSession)
+    more = cut_and_free(_verified(_candidates(elements, entries, percent), bags, percent).select("a", "b"))
     labels = components(links.unionByName(more))
-    release(docs.sparkSession)
     members = rows.where("digest is not null").select("id", "digest").join(nodes.select("digest", "node"), "digest")
     classes = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     smallest = classes.groupBy("label").agg(F.min("id").alias("smallest"))
@@ -286,7 +280,7 @@ def similar_pairs(docs: DataFrame, k: int = WORDS, percent: int = PERCENT, id_co
     nodes = _nodes(rows)
     elements, bags, prefixes = _index(nodes, percent)
     found = _verified(_candidates(elements, _mixed(prefixes, nodes.select("node", F.col("node").alias("label"))), percent), bags, percent)
-    members = cut(rows.where("digest is not null").select("id", "digest").join(nodes.select("digest", "node"), "digest"))
+    members = cut_and_free(rows.where("digest is not null").select("id", "digest").join(nodes.select("digest", "node"), "digest"))
     first = members.groupBy("node").agg(F.min("id").alias("rep"))
     ends = found.join(first.select(F.col("node").alias("a"), F.col("rep").alias("ra")), "a").join(first.select(F.col("node").alias("b"), F.col("rep").alias("rb")), "b")
     pairs = ends.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b"), "common")

@@ -2,9 +2,7 @@
 
 from __future__ import annotations
 
-import gc
 import tempfile
-import time
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -32,10 +30,21 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def release(spark: SparkSession) -> None:
-    """Lets Spark delete shuffle files that nothing refers to any more (it does so when the driver collects
-    garbage, which may be long after).  Call it between the stages of a long job, after their frames are gone."""
-    for _ in range(2):
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(0.5)
+def cut_and_free(df: DataFrame) -> DataFrame:
+    """``cut`` for a frame that nothing else reads: the files of the shuffles that made it are deleted before this
+    returns, not when the driver next collects garbage.  A frame that is read again after all runs its stages again."""
+    out = cut(df)
+    components = df.sparkSession.sparkContext._jsc.sc().shuffleDriverComponents()
+    for n in _shuffles(df._jdf.queryExecution().executedPlan()):
+        components.removeShuffle(n, True)
+    return out
+
+
+def _shuffles(plan) -> set[int]:
+    """Ids of the shuffles of a plan that ran."""
+    kind = plan.getClass().getSimpleName()
+    if kind == "AdaptiveSparkPlanExec":
+        return set(plan.context().shuffleIds().keySet().toArray())
+    below = plan.children()
+    found = [_shuffles(below.apply(i)) for i in range(below.length())]
+    return set().union(*found, [plan.shuffleId()] if kind == "ShuffleExchangeExec" else [])
