@@ -6,7 +6,8 @@ subspace and its length kept.  Codes and codebooks minimise a loss in which the
 
 Every row is coded once and lies in the cell of its centre; large cells are several blocks.  A query visits the
 cells whose centres, with the cells' spread, promise the largest products; how many that are is calibrated on the
-sample so that its nearest neighbours are found (``AIM``).  Its products with all codewords form tables; two
+sample so that its nearest neighbours are found (``AIM``), at every size of the table, and it visits more where these
+hold fewer than k candidates.  Its products with all codewords form tables; two
 four-bit codes make one byte, so a scan adds one table entry for each pair of subspaces.  Each block proposes its
 ``rerank`` best by table for each of its queries, scores these exactly in double precision and answers with its ``k``
 best; answers are merged by a tree.
@@ -64,6 +65,7 @@ class Quantiser:
     def __init__(self, centres: np.ndarray, books: np.ndarray, eta: float):
         self.centres, self.books, self.eta = centres, books, eta  # books: subspaces x codewords x width
         self.spread, self.visits = np.zeros(len(centres)), len(centres)
+        self.rows, self.least = np.zeros(len(centres), np.int64), 0  # rows of each cell; rows that a query must meet
 
     def _residual(self, x: np.ndarray):
         which = _nearest(x, self.centres)
@@ -117,10 +119,13 @@ class Quantiser:
         """For each query and cell the product that a good row of the cell can have."""
         return q @ self.centres.T + np.linalg.norm(q, axis=1, keepdims=True) * self.spread
 
-    def visited(self, q: np.ndarray) -> np.ndarray:
-        """queries x visits: the cells that each query visits."""
-        n = min(self.visits, len(self.centres))
-        return np.argpartition(-self.promise(q), n - 1, axis=1)[:, :n] if n < len(self.centres) else np.tile(np.arange(n), (len(q), 1))
+    def visited(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(query, cell) of the cells that each query visits: the calibrated number, and more where these hold fewer
+        than ``least`` rows."""
+        order = np.argsort(-self.promise(q), axis=1, kind="stable")
+        before = np.cumsum(self.rows[order], axis=1) - self.rows[order]
+        query, at = np.nonzero((np.arange(order.shape[1]) < self.visits) | (before < self.least))
+        return query, order[query, at]
 
     def calibrate(self, x: np.ndarray, k: int, aim: float = AIM) -> None:
         """Spread of the cells along a random direction, and the least number of visits that finds the aim's
@@ -129,11 +134,14 @@ class Quantiser:
         self.spread = np.zeros(len(self.centres))
         for c in np.unique(cell):
             self.spread[c] = np.sqrt(((x[cell == c] - self.centres[c]) ** 2).sum(1).mean() / x.shape[1])
-        q = x[:: max(1, len(x) // PROBE_QUERIES)]
-        near = np.argsort(-(q @ x.T), axis=1)[:, : min(k, len(x))]
+        step = max(1, len(x) // PROBE_QUERIES)
+        q = x[::step]
+        products = q @ x.T
+        products[np.arange(len(q)), np.arange(len(q)) * step] = -np.inf  # a query is not its own neighbour
+        near = np.argsort(-products, axis=1)[:, : min(k, len(x) - 1)]
         place = np.argsort(np.argsort(-self.promise(q), axis=1), axis=1)
         need = np.sort(np.take_along_axis(place, cell[near], axis=1).ravel())
-        self.visits = int(need[min(len(need) - 1, int(np.ceil(aim * len(need))) - 1)]) + 1
+        self.visits = int(need[max(0, int(np.ceil(aim * len(need))) - 1)]) + 1 if len(need) else len(self.centres)
 
     @classmethod
     def fit(cls, x: np.ndarray, centres: int = 64, rounds: int = 4) -> Quantiser:
@@ -223,10 +231,9 @@ def _visits(quantiser: Quantiser):
     def run(batches):
         for batch in batches:
             if batch.num_rows:
-                cells = quantiser.visited(_matrix(batch["v"]))
-                rows = np.repeat(np.arange(batch.num_rows), cells.shape[1])
-                out = batch.take(pa.array(rows))
-                yield pa.record_batch([pa.array(cells.ravel().astype(np.int32)), out["id"], out["v"]], names=["cell", "id", "v"])
+                query, cells = quantiser.visited(_matrix(batch["v"]))
+                out = batch.take(pa.array(query))
+                yield pa.record_batch([pa.array(cells.astype(np.int32)), out["id"], out["v"]], names=["cell", "id", "v"])
 
     return run
 
@@ -299,10 +306,13 @@ def nearest_neighbours(table: DataFrame, queries, k: int = NEIGHBOURS, id_col: s
         return table.sparkSession.createDataFrame([], schema)
     quantiser = Quantiser.fit(x, max(1, min(CENTRES_MOST, max(CENTRES_LEAST, n // ROWS_IN_CELL), len(x) // 4)))
     quantiser.calibrate(x, k, aim)
-    if n <= ROWS_IN_BLOCK:  # one block's worth: every query visits every cell
-        quantiser.visits = len(quantiser.centres)
     coded = cut(rows.mapInArrow(_code(quantiser), _CODED))
-    blocks_of = coded.groupBy("cell").agg(F.ceil(F.count("*") / ROWS_IN_BLOCK).cast("int").alias("blocks"))  # a row for each cell
+    held = coded.groupBy("cell").count()  # a row for each cell
+    for cell, count in held.collect():
+        quantiser.rows[cell] = count
+    own = rows.where(queries).groupBy("id").count().agg(F.max("count")).first()[0]
+    quantiser.least = k + (own or 0)  # rows with the query's id are not its candidates
+    blocks_of = held.select("cell", F.ceil(F.col("count") / ROWS_IN_BLOCK).cast("int").alias("blocks"))
     dealt = coded.join(F.broadcast(blocks_of), "cell").withColumn("block", F.pmod(F.xxhash64("id", F.hash("v")), F.col("blocks")).cast("int"))
     blocks = dealt.groupBy("cell", "block").applyInArrow(_pack, _BLOCK)
     visits = rows.where(queries).mapInArrow(_visits(quantiser), "cell int, id long, v array<double>")

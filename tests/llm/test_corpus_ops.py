@@ -475,6 +475,30 @@ def test_neighbours_recall_and_bad_vectors(spark):
     assert anisotropic_ann.nearest_neighbours(df.limit(0), F.col("id") == 0).count() == 0
 
 
+def test_neighbours_do_not_depend_on_the_size_of_a_block(spark, monkeypatch):
+    x = np.random.default_rng(1).normal(size=(600, 16))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    found = []
+    for rows in (8192, 100):
+        monkeypatch.setattr(anisotropic_ann, "ROWS_IN_BLOCK", rows)
+        found.append(sorted(map(tuple, anisotropic_ann.nearest_neighbours(df, F.pmod("id", F.lit(20)) == 0, k=10).collect())))
+    assert found[0] == found[1] and len(found[0]) == 300
+
+
+def test_neighbours_fill_up_from_further_cells(spark):
+    """Sixteen far clusters of five: the cells that hold a query's best rows hold fewer than k of them."""
+    rng = np.random.default_rng(2)
+    centres = np.eye(16) * 100
+    rows = [(i, (centres[i % 16] + rng.normal(size=16)).tolist()) for i in range(80)]
+    rows += [(16, (centres[0] + rng.normal(size=16)).tolist()) for _ in range(30)]  # rows of one query's id
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    found = anisotropic_ann.nearest_neighbours(df, F.col("id").isin(3, 16), k=20, aim=0.01).collect()
+    assert len([r for r in found if r.query_id == 3]) == 20
+    assert all(r.vec_id != 16 for r in found) and max(r.rank for r in found if r.query_id == 16) == 20
+    all_of = anisotropic_ann.nearest_neighbours(df.where("vec_id < 15"), F.col("id") == 3, k=20, aim=0.01)
+    assert all_of.count() == 14
+
+
 def test_quality_rules_separate_and_compile(spark):
     good = [f"Word number {i} follows another word. And then some more text, {i % 7} times." for i in range(150)]
     bad = [f"*** ### {i} $$$ !!! ||| " * 5 for i in range(150)]
