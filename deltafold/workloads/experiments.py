@@ -4,6 +4,7 @@ beside recomputing on all data so far.  Each run begins with an empty state."""
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from deltafold.functions import monoids as m
 from deltafold.measures import compare, drift, speedup, sweep, timed
@@ -43,10 +44,18 @@ def pairs_found(spark: SparkSession, initial: int = 100_000, increment: int = 10
     a = cut(random_pairs(spark, initial + INCREMENTS * increment, seed=1)).selectExpr("id", "y AS b")
     b = cut(random_pairs(spark, initial + INCREMENTS * increment, seed=2)).selectExpr("id", "x AS c")
     batch = f"IF(id < {initial}, 0, 1 + (id - {initial}) div {increment})"
-    count = lambda df, *keys: df.groupBy(*keys).count()
-    left, right = count(a.selectExpr("b AS k", f"{batch} AS n"), "k", "n"), count(b.selectExpr("c AS k", f"{batch} AS n"), "k", "n")
-    pairs = lambda on: left.alias("l").join(right.alias("r"), on).selectExpr("sum(l.count * r.count)").first()[0]
-    return pairs(["k", "n"]), pairs(["k"])
+    return tuple(count_pairs(a.selectExpr("b AS k", f"{batch} AS n"), b.selectExpr("c AS k", f"{batch} AS n")).first())
+
+
+def count_pairs(left: DataFrame, right: DataFrame) -> DataFrame:
+    """One row (batchwise, exact): the pairs of rows (k, n) with equal keys k that have one batch n, and all such pairs."""
+    count = lambda df, *keys: df.groupBy(*keys).agg(F.count("*").alias("c"))
+
+    def pairs(name, *keys):
+        met = count(left, *keys).withColumnRenamed("c", "a").join(count(right, *keys).withColumnRenamed("c", "b"), list(keys))
+        return met.agg(F.coalesce(F.sum(F.col("a") * F.col("b")), F.lit(0)).alias(name))
+
+    return pairs("batchwise", "k", "n").crossJoin(pairs("exact", "k"))
 
 
 def clusters(spark: SparkSession, increment: int, initial: int = 1_000_000, rounds: int = 10) -> dict:
@@ -85,4 +94,4 @@ def backends(spark: SparkSession, increment: int = 10_000, initial: int = 200_00
     return {b: compare(spark, query, batches, {"s": ["x", "y"]}, backend=b) for b in ("memory", "layered", "bucketed", "keyed")}
 
 
-__all__ = ["backends", "clusters", "evaluation", "group_by", "join_group_by", "pairs_found", "ranks"]
+__all__ = ["backends", "clusters", "count_pairs", "evaluation", "group_by", "join_group_by", "pairs_found", "ranks"]
